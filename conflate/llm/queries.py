@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from conflate.llm import exact, langid, passages, urls
+from conflate.llm import decontam, exact, langid, passages, probminhash, urls
 from conflate.llm.common import for_learning, held_out, table
 
 #: The rule list of the URL query: (host, path, verdict).
@@ -19,10 +19,18 @@ def op1_language_profiles(spark: SparkSession, sf_dir: str) -> DataFrame:
     return got.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "lang_pred", "score")
 
 
+def op2_probability_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return probminhash.classes_of(table(spark, sf_dir, "documents"))
+
+
 def op6_phrase_automata(spark: SparkSession, sf_dir: str) -> DataFrame:
     return passages.remove(table(spark, sf_dir, "documents"), texts=False).withColumnRenamed("kept", "kept_sha256")
 
 
+def op7_simhash_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontam.matches(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op9_progressive_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact.decisions(table(spark, sf_dir, "documents"))
 
@@ -31,7 +39,7 @@ def op10_host_path_trie(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urls.judge(table(spark, sf_dir, "pages"), URL_RULES)
 
 
-QUERIES = {"op1_language_profiles": op1_language_profiles, "op6_phrase_automata": op6_phrase_automata, "op9_progressive_dedup": op9_progressive_dedup, "op10_host_path_trie": op10_host_path_trie}
+QUERIES = {"op1_language_profiles": op1_language_profiles, "op2_probability_minhash": op2_probability_minhash, "op6_phrase_automata": op6_phrase_automata, "op7_simhash_windows": op7_simhash_windows, "op9_progressive_dedup": op9_progressive_dedup, "op10_host_path_trie": op10_host_path_trie}
 
 ORACLES = {
     "op9_progressive_dedup": r"""
