@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from conflate.llm import decontam, exact, langid, passages, probminhash, urls
+from conflate.llm import decontam, exact, fuzzylines, langid, passages, pii, probminhash, sampling, urls
 from conflate.llm.common import for_learning, held_out, table
 
 #: The rule list of the URL query: (host, path, verdict).
@@ -23,6 +23,14 @@ def op2_probability_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return probminhash.classes_of(table(spark, sf_dir, "documents"))
 
 
+def op3_disclosure_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.find(table(spark, sf_dir, "documents"))
+
+
+def op5_fuzzy_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return fuzzylines.report(table(spark, sf_dir, "documents"))
+
+
 def op6_phrase_automata(spark: SparkSession, sf_dir: str) -> DataFrame:
     return passages.remove(table(spark, sf_dir, "documents"), texts=False).withColumnRenamed("kept", "kept_sha256")
 
@@ -31,6 +39,10 @@ def op7_simhash_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontam.matches(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op8_gumbel_segmentations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sampling.encode(table(spark, sf_dir, "documents"), ids=False).withColumnRenamed("ids", "ids_sha256")
+
+
 def op9_progressive_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact.decisions(table(spark, sf_dir, "documents"))
 
@@ -39,7 +51,7 @@ def op10_host_path_trie(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urls.judge(table(spark, sf_dir, "pages"), URL_RULES)
 
 
-QUERIES = {"op1_language_profiles": op1_language_profiles, "op2_probability_minhash": op2_probability_minhash, "op6_phrase_automata": op6_phrase_automata, "op7_simhash_windows": op7_simhash_windows, "op9_progressive_dedup": op9_progressive_dedup, "op10_host_path_trie": op10_host_path_trie}
+QUERIES = {"op1_language_profiles": op1_language_profiles, "op2_probability_minhash": op2_probability_minhash, "op3_disclosure_pii": op3_disclosure_pii, "op5_fuzzy_lines": op5_fuzzy_lines, "op6_phrase_automata": op6_phrase_automata, "op7_simhash_windows": op7_simhash_windows, "op8_gumbel_segmentations": op8_gumbel_segmentations, "op9_progressive_dedup": op9_progressive_dedup, "op10_host_path_trie": op10_host_path_trie}
 
 ORACLES = {
     "op9_progressive_dedup": r"""
