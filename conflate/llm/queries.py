@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from conflate.llm import decontam, exact, fuzzylines, langid, passages, pii, probminhash, sampling, urls
+from conflate.llm import decontam, exact, fuzzylines, langid, passages, pii, probminhash, sampling, toxicity, urls
 from conflate.llm.common import for_learning, held_out, table
 
 #: The rule list of the URL query: (host, path, verdict).
@@ -27,6 +27,13 @@ def op3_disclosure_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.find(table(spark, sf_dir, "documents"))
 
 
+def op4_weak_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, labels = table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "labels").select("doc_id", "toxic")
+    scorer = toxicity.learn(docs.where(for_learning(F.col("doc_id"))), labels.where(for_learning(F.col("doc_id"))))
+    got = toxicity.score(docs, scorer)
+    return got.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= toxicity.CUT).cast("int").alias("predicted"))
+
+
 def op5_fuzzy_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fuzzylines.report(table(spark, sf_dir, "documents"))
 
@@ -51,7 +58,7 @@ def op10_host_path_trie(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urls.judge(table(spark, sf_dir, "pages"), URL_RULES)
 
 
-QUERIES = {"op1_language_profiles": op1_language_profiles, "op2_probability_minhash": op2_probability_minhash, "op3_disclosure_pii": op3_disclosure_pii, "op5_fuzzy_lines": op5_fuzzy_lines, "op6_phrase_automata": op6_phrase_automata, "op7_simhash_windows": op7_simhash_windows, "op8_gumbel_segmentations": op8_gumbel_segmentations, "op9_progressive_dedup": op9_progressive_dedup, "op10_host_path_trie": op10_host_path_trie}
+QUERIES = {"op1_language_profiles": op1_language_profiles, "op2_probability_minhash": op2_probability_minhash, "op3_disclosure_pii": op3_disclosure_pii, "op4_weak_toxicity": op4_weak_toxicity, "op5_fuzzy_lines": op5_fuzzy_lines, "op6_phrase_automata": op6_phrase_automata, "op7_simhash_windows": op7_simhash_windows, "op8_gumbel_segmentations": op8_gumbel_segmentations, "op9_progressive_dedup": op9_progressive_dedup, "op10_host_path_trie": op10_host_path_trie}
 
 ORACLES = {
     "op9_progressive_dedup": r"""
