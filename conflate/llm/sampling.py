@@ -12,8 +12,8 @@ its steps, the set of the other branches with one bound; the next sample continu
 Its inclusion score is 1 - exp(-exp(log p - t)), t being the (k + 1)-th perturbed score: the chance to have been
 among the k given that threshold (1 where fewer than k + 1 segmentations exist).
 
-No piece holds a space after another character, so the lattice falls apart at spaces; each distinct unit's states
-are made once and kept in a bounded cache.  Randomness is a hash of the row key: a row gives the same samples in
+No piece holds a space after another character, so the lattice falls apart at spaces; the distinct units of some
+megabytes of text share one lattice.  Randomness is a hash of the row key: a row gives the same samples in
 any partition, and repeated keys give repeated samples.  Defined results: a null or empty text has one segmentation
 without pieces; texts are never cut; decoding gives back the very text, literal block marks and all.
 """
@@ -35,20 +35,30 @@ from conflate.llm.textkit import mix, pieces
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 SHIFT = 10.0
 SAMPLES = 2
-CACHE_EDGES = 2_000_000
+#: Bytes of text whose distinct units share one lattice.
+CHUNK = 3 << 20
 _U = np.uint64
 _UNIT = re.compile(" +[^ ]*|[^ ]+")
 
 
 @dataclass
 class Vocabulary:
-    """logp and id of each piece, with plain spaces; ids of the 256 byte pieces; bytes of each id."""
+    """Pieces with plain spaces as a trie in arrays, and what decoding needs.
+
+    The trie's steps stand in an open-addressing table (``keys`` -> ``child``); ``piece`` and ``logp`` say what ends
+    at a node.
+    """
 
     pieces: dict[str, tuple[int, float]]
-    byte_ids: list[int]
+    byte_ids: np.ndarray
     byte_logp: float
     content: list[bytes]
     longest: int
+    letter: np.ndarray
+    keys: np.ndarray
+    child: np.ndarray
+    piece: np.ndarray
+    logp: np.ndarray
 
     @classmethod
     def load(cls, path: str = MODEL, shift: float = SHIFT, power: float = 1.0) -> "Vocabulary":
@@ -67,111 +77,138 @@ class Vocabulary:
             content[i] = bytes([b])
         if any(" " in p.lstrip(" ") for p in table):
             raise ValueError("a piece holds a space after another character: texts can't be cut at spaces")
-        return cls(table, bytes_, power * (-float(np.log(len(normal) + shift)) - total), content, max(map(len, table)))
+        return cls(table, np.array(bytes_), power * (-float(np.log(len(normal) + shift)) - total), content, max(map(len, table)), *_trie(table))
+
+
+def _trie(table: dict[str, tuple[int, float]]) -> tuple[np.ndarray, ...]:
+    letters = sorted({c for p in table for c in p})
+    letter = np.zeros(0x110000, np.int64)
+    letter[[ord(c) for c in letters]] = np.arange(1, len(letters) + 1)
+    node: dict[str, int] = {"": 0}
+    steps = []
+    for p in sorted(table, key=len):
+        for k in range(1, len(p) + 1):
+            if p[:k] not in node:
+                node[p[:k]] = len(node)
+                steps.append((node[p[: k - 1]], int(letter[ord(p[k - 1])]), node[p[:k]]))
+    size = 1 << max(12, (len(steps) * 6).bit_length())
+    keys, child = np.full(size, -1, np.int64), np.zeros(size, np.int64)
+    for a, c, z in steps:
+        at = int(_slot(np.array([a << 21 | c]), size)[0])
+        while keys[at] >= 0:
+            at = (at + 1) % size
+        keys[at], child[at] = a << 21 | c, z
+    piece, logp = np.full(len(node), -1, np.int64), np.zeros(len(node))
+    for p, (i, x) in table.items():
+        piece[node[p]], logp[node[p]] = i, x
+    return letter, keys, child, piece, logp
+
+
+def _slot(key: np.ndarray, size: int) -> np.ndarray:
+    return ((key.astype(_U) * _U(0x9E3779B97F4A7C15)) >> _U(65 - size.bit_length())).astype(np.int64)
+
+
+def _step(v: Vocabulary, node: np.ndarray, c: np.ndarray) -> np.ndarray:
+    """The node one letter on; 0 where there is none."""
+    key = node << 21 | c
+    at = _slot(key, len(v.keys))
+    held = v.keys[at]
+    out = np.where(held == key, v.child[at], 0)
+    open_ = np.flatnonzero((held != key) & (held >= 0))
+    while len(open_):
+        at[open_] = (at[open_] + 1) % len(v.keys)
+        held = v.keys[at[open_]]
+        same = held == key[open_]
+        out[open_[same]] = v.child[at[open_[same]]]
+        open_ = open_[~same & (held >= 0)]
+    return out
 
 
 class Lattice:
-    """States and branches of the units seen so far.
+    """All ways to write the given distinct units in pieces.
 
-    Branches stand by state; ``upper`` is the state's number plus the cumulated probability, so that one binary
-    search over all states draws a branch.
+    A state is a place in the units' joined characters.  Branches stand by state; ``upper`` is the state's number
+    plus the cumulated probability, so that one binary search over all states draws a branch.  ``next`` is the
+    state behind a branch, -1 at a unit's end; ``piece`` is a piece, or minus a code point to write in bytes.
     """
 
-    def __init__(self, vocabulary: Vocabulary):
-        self.v = vocabulary
-        self.clear()
-
-    def clear(self) -> None:
-        self.root: dict[str, int] = {}
-        self.states, self.n = 0, 0
-        self.upper, self.logq = np.zeros(1 << 16), np.zeros(1 << 16)
-        self.piece, self.next = np.zeros(1 << 16, np.int32), np.zeros(1 << 16, np.int64)
-        self.begin = np.zeros(1 << 16, np.int64)  # of each state's branches
-
-    def add(self, units: list[str]) -> np.ndarray:
-        """First state of each unit."""
-        root = self.root
-        if self.n > CACHE_EDGES:
-            self.clear()
-            root = self.root
-        new = [u for u in dict.fromkeys(units) if u not in root]
-        uppers, logqs, ids, nexts, begins = [], [], [], [], []
-        for u in new:
-            self._unit(u, uppers, logqs, ids, nexts, begins)
-        if ids:
-            m = self.n + len(ids)
-            for name, values in (("upper", uppers), ("logq", logqs), ("piece", ids), ("next", nexts)):
-                setattr(self, name, self._room(getattr(self, name), self.n, values))
-            self.begin = self._room(self.begin, self.states - len(begins), begins)
-            self.n = m
-        return np.fromiter((root[u] for u in units), np.int64, len(units))
-
-    @staticmethod
-    def _room(have: np.ndarray, at: int, values: list) -> np.ndarray:
-        if at + len(values) > len(have):
-            have = np.concatenate([have[:at], np.zeros(max(at, len(values)), have.dtype)])
-        have[at : at + len(values)] = values
-        return have
-
-    def _unit(self, u: str, uppers: list, logqs: list, ids: list, nexts: list, begins: list) -> None:
-        table, longest, n = self.v.pieces, self.v.longest, len(u)
-        below, branches = [0.0] * (n + 1), [None] * n
-        for j in range(n - 1, -1, -1):
-            found = []
-            for k in range(j + 1, min(n, j + longest) + 1):
-                p = table.get(u[j:k])
-                if p is not None:
-                    found.append((p[0], p[1] + below[k], k))
-            if not any(k == j + 1 for _, _, k in found):
-                raw = u[j].encode("utf-8", "surrogatepass")
-                found.append((-len(raw), self.v.byte_logp * len(raw) + below[j + 1], j + 1))
-            most = max(f[1] for f in found)
-            below[j] = most + float(np.log(sum(np.exp(f[1] - most) for f in found))) if len(found) > 1 else most
-            branches[j] = found
-        # only states that some segmentation reaches are numbered
-        number, order = {0: self.states}, [0]
-        self.root[u] = self.states
-        self.states += 1
-        for j in order:
-            for _, _, k in branches[j]:
-                if k < n and k not in number:
-                    number[k] = self.states
-                    self.states += 1
-                    order.append(k)
-        tails = []
-        for j in order:
-            begins.append(self.n + len(ids))
-            s, total, found = number[j], 0.0, branches[j]
-            for i, (piece, score, k) in enumerate(found):
-                q = score - below[j]
-                total += float(np.exp(q))
-                uppers.append(s + 1.0 if i == len(found) - 1 else s + min(total, 1.0 - 1e-9))
-                logqs.append(q if len(found) > 1 else 0.0)
-                then = number[k] if k < n else -1
-                if piece < 0:
-                    raw = u[j].encode("utf-8", "surrogatepass")
-                    ids.append(self.v.byte_ids[raw[0]])
-                    nexts.append(-2 if len(raw) > 1 else then)
-                    if len(raw) > 1:
-                        tails.append((len(nexts) - 1, raw[1:], then))
-                else:
-                    ids.append(piece)
-                    nexts.append(then)
-        for at, raw, then in tails:
-            for i, byte in enumerate(raw):
-                nexts[at] = self.states
-                begins.append(self.n + len(ids))
-                uppers.append(self.states + 1.0)
-                logqs.append(0.0)
-                ids.append(self.v.byte_ids[byte])
-                nexts.append(then)
-                at = len(nexts) - 1
-                self.states += 1
+    def __init__(self, v: Vocabulary, units: list[str]):
+        self.v = v
+        sizes = np.fromiter(map(len, units), np.int64, len(units))
+        stop = np.cumsum(sizes)
+        self.root = stop - sizes
+        codes = np.frombuffer("".join(units).encode("utf-32-le", "surrogatepass"), np.uint32)
+        n = len(codes)
+        end = np.repeat(stop, sizes)
+        letter = v.letter[codes]
+        live, node, count, found = np.arange(n), np.zeros(n, np.int64), np.zeros(n, np.int64), []
+        for k in range(v.longest):
+            on = live + k < end[live]
+            live, node = live[on], node[on]
+            node = _step(v, node, letter[live + k])
+            on = node > 0
+            live, node = live[on], node[on]
+            if not len(live):
+                break
+            hit = v.piece[node] >= 0
+            src = live[hit]
+            found.append((src, count[src], src + k + 1, v.piece[node[hit]], v.logp[node[hit]]))
+            count[src] += 1
+            if k == 0:
+                lacks = np.ones(n, bool)
+                lacks[src] = False
+        if not found:
+            lacks = np.ones(n, bool)
+        raw = np.flatnonzero(lacks)
+        width = 1 + (codes[raw] >= 0x80).astype(np.int64) + (codes[raw] >= 0x800) + (codes[raw] >= 0x10000)
+        found.append((raw, count[raw], raw + 1, -codes[raw].astype(np.int64) - 1, v.byte_logp * width))
+        count[raw] += 1
+        self.begin = np.concatenate([[0], np.cumsum(count)])
+        m = int(self.begin[-1])
+        self.src, self.next, self.piece, score = np.zeros(m, np.int64), np.zeros(m, np.int64), np.zeros(m, np.int64), np.zeros(m)
+        for src, rank, dst, piece, logp in found:
+            at = self.begin[src] + rank
+            self.src[at], self.next[at], self.piece[at], score[at] = src, dst, piece, logp
+        self.next[self.next == end[self.src]] = -1
+        # from the units' ends backwards: what is left at each state sums to exp(below)
+        below = np.zeros(n + 1)
+        by_size = np.argsort(-sizes, kind="stable")
+        tails, lengths = stop[by_size], sizes[by_size]
+        for r in range(1, int(lengths[0]) + 1 if len(lengths) else 0):
+            p = tails[: int(np.searchsorted(-lengths, -r, "right"))] - r
+            c = count[p]
+            first = np.cumsum(c) - c
+            e = np.repeat(self.begin[p] - first, c) + np.arange(int(c.sum()))
+            x = score[e] + below[self.next[e]]  # next is -1 at an end, and below[-1] is 0
+            most = np.maximum.reduceat(x, first)
+            below[p] = most + np.log(np.add.reduceat(np.exp(x - np.repeat(most, c)), first))
+            score[e] = x
+        q = score - below[self.src]
+        q[np.repeat(count == 1, count)] = 0.0
+        self.logq = q
+        total = np.concatenate([[0.0], np.cumsum(np.exp(q))])
+        self.upper = self.src + np.minimum(total[1:] - total[self.begin[self.src]], 1.0 - 1e-9)
+        self.upper[self.begin[1:] - 1] = np.arange(n) + 1.0
 
     def branches(self, state: int) -> np.ndarray:
-        a = int(self.begin[state])
-        z = int(self.begin[state + 1]) if state + 1 < self.states else self.n
-        return np.arange(a, z)
+        return np.arange(self.begin[state], self.begin[state + 1])
+
+    def ids(self, path: np.ndarray) -> np.ndarray:
+        """Piece numbers of a path; characters outside the vocabulary in byte pieces."""
+        out = self.piece[path]
+        raw = out < 0
+        if raw.any():
+            code = -out - 1
+            out = np.where(raw & (code < 0x80), self.v.byte_ids[np.where(raw & (code < 0x80), code, 0)], out)
+            wide = np.flatnonzero(raw & (code >= 0x80))
+            if len(wide):
+                written = [self.v.byte_ids[list(chr(c).encode("utf-8", "surrogatepass"))] for c in code[wide].tolist()]
+                parts, at = [], 0
+                for i, w in zip(wide.tolist(), written):
+                    parts += [out[at:i], w]
+                    at = i + 1
+                out = np.concatenate([*parts, out[at:]])
+        return out.astype(np.int32)
 
 
 def _uniform(x: np.ndarray) -> np.ndarray:
@@ -185,7 +222,7 @@ def _hash(key: int, *parts: int) -> float:
 
 def draw(lattice: Lattice, start: np.ndarray, seed: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """One segmentation of every unit: branches in order, and where each unit's begin (n + 1 numbers)."""
-    upper = lattice.upper[: lattice.n]
+    upper = lattice.upper
     live, state, steps, edges = np.arange(len(start)), start, [], []
     counts = np.zeros(len(start), np.int64)
     step = 0
@@ -254,7 +291,7 @@ class Search:
         while len(out) < k and self.open:
             self.open.sort(key=lambda x: -x[0])
             g, parent, step, out_of = self.open.pop(0)
-            state = self._state(parent, step)
+            state = int(lat.src[parent[step]])
             options = np.setdiff1d(lat.branches(state), out_of)
             p = np.exp(lat.logq[options])
             e = int(options[min(len(options) - 1, int(np.searchsorted(np.cumsum(p), self._noise() * p.sum(), "right")))])
@@ -268,10 +305,6 @@ class Search:
         self.threshold = max((o[0] for o in self.open), default=-np.inf)
         return out
 
-    def _state(self, path: np.ndarray, step: int) -> int:
-        i = int(np.searchsorted(self.lat.begin[: self.lat.states], path[step], "right")) - 1
-        return i
-
     def _complete(self, parent: np.ndarray, step: int, branch: int, fresh: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
         done = [branch]
         state = int(self.lat.next[branch])
@@ -287,23 +320,20 @@ class Search:
         return np.concatenate([parent[:step], np.array(done, np.int64), edges[first[units] :]])
 
 
-_cache: dict[int, Lattice] = {}
-
-
 def _sample(sent, k: int, ids_out: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         vocabulary = sent.value
-        lattice = _cache.setdefault(0, Lattice(vocabulary))
-        if lattice.v is not vocabulary:
-            lattice = _cache[0] = Lattice(vocabulary)
         content = vocabulary.content
         for b in batches:
-            for lo, hi in pieces(b.column(2)):
+            for lo, hi in pieces(b.column(2), CHUNK):
                 texts = b.column(2).slice(lo, hi - lo).to_pylist()
                 keys = b.column(1).slice(lo, hi - lo).to_pylist()
                 units = [_UNIT.findall(" " + t) if t else [] for t in texts]
                 sizes = np.array([len(x) for x in units], np.int64)
-                start = lattice.add([x for us in units for x in us])
+                number: dict[str, int] = {}
+                which = np.fromiter((number.setdefault(x, len(number)) for us in units for x in us), np.int64, int(sizes.sum()))
+                lattice = Lattice(vocabulary, list(number))
+                start = lattice.root[which]
                 place = np.concatenate([[0], np.cumsum(sizes)])
                 within = np.arange(place[-1]) - np.repeat(place[:-1], sizes)
                 seeds = mix(np.repeat(np.array(keys, np.int64).view(_U), sizes)) + within.astype(_U)
@@ -319,7 +349,7 @@ def _sample(sent, k: int, ids_out: bool):
                         found = search.run()
                         threshold = search.threshold
                     for i, (path, logp, g) in enumerate(found):
-                        ids = lattice.piece[path]
+                        ids = lattice.ids(path)
                         plain = b"".join([content[x] for x in ids.tolist()])
                         whole = plain[1:] == (text or "").encode("utf-8", "surrogatepass")
                         inclusion = 1.0 if threshold == -np.inf else float(-np.expm1(-np.exp(min(logp - threshold, 700.0))))

@@ -29,6 +29,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from conflate.plans.tables import materialise
+
 MAX_LABELLED = 16_000
 MAX_UNLABELLED = 6_000
 STEMS = (4, 5)
@@ -101,10 +103,24 @@ def _chosen(rows: DataFrame, bound: int, seed: int) -> DataFrame:
     return rows.where(F.pmod(F.xxhash64(F.lit(seed), F.col("doc_id")), F.lit(1_000_003)) < int(1_000_003 * bound / n))
 
 
-def _bag(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _tally(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(term, documents with label 1, documents with label 0) of each batch."""
     for b in batches:
-        texts = b.column(1).to_pylist()
-        yield pa.RecordBatch.from_arrays([b.column(0), pa.array([sorted(terms(t)) for t in texts], pa.list_(pa.string())), pa.array([shapes(t, False)[:3] for t in texts], pa.list_(pa.int32()))], ["toxic", "terms", "shapes"])
+        by = {1: Counter(), 0: Counter()}
+        for y, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
+            by[y].update(terms(text))
+        names = list(by[1] | by[0])
+        yield pa.RecordBatch.from_arrays([pa.array(names, pa.string()), *(pa.array([by[y][t] for t in names], pa.int64()) for y in (1, 0))], ["term", "n1", "n0"])
+
+
+def _features(sent):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        index = sent.value
+        for b in batches:
+            texts = b.column(1).to_pylist()
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([sorted(index[t] for t in terms(x) if t in index) for x in texts], pa.list_(pa.int32())), pa.array([shapes(x, False)[:3] for x in texts], pa.list_(pa.int32()))], ["toxic", "terms", "shapes"])
+
+    return run
 
 
 def label_model(votes: np.ndarray, known: np.ndarray, rounds: int = 40) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -146,14 +162,6 @@ def _dependence(one: np.ndarray, zero: np.ndarray, p1: np.ndarray, post: np.ndar
     return 1 + np.minimum(np.where(slope > 0.3, slope, 0), 1).sum(1)
 
 
-def _ratio(c: int, d: int, n1: int, n0: int) -> float:
-    """G statistic of a term in c of n1 toxic and d of n0 other texts; 0 where it leans the other way."""
-    expected = (c + d) * n1 / (n1 + n0)
-    if c <= expected:
-        return 0.0
-    return float(2 * (c * np.log(c / expected) + (d * np.log(d / (c + d - expected)) if d else 0.0)))
-
-
 def logistic(rows: np.ndarray, cols: np.ndarray, n: int, m: int, target: np.ndarray, l2: np.ndarray, steps: int = 300) -> np.ndarray:
     """Weights (m, then the bias) of a logistic regression on 0/1 features given as (row, column) entries."""
     def value(x: np.ndarray) -> tuple[float, np.ndarray]:
@@ -198,30 +206,30 @@ def learn(docs: DataFrame, labels: DataFrame, max_labelled: int = MAX_LABELLED,
     without = _chosen(docs.select("doc_id").join(marked, "doc_id", "left_anti"), max_unlabelled, 12).select("doc_id", F.lit(-1).alias("toxic"))
     picked = with_label.unionByName(without)
     sample = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").select(F.col("toxic").cast("int").alias("toxic"), "text")
-    got = sample.mapInArrow(_bag, "toxic int, terms array<string>, shapes array<int>").toArrow().sort_by([("toxic", "ascending"), ])
-    known = got.column("toxic").to_numpy()
-    bags, shaped = got.column("terms").to_pylist(), got.column("shapes").to_pylist()
-    if not (known == 1).any():
+    sizes = {r[0]: r[1] for r in picked.groupBy("toxic").count().collect()}
+    n1, n0 = sizes.get(1, 0), sizes.get(0, 0)
+    if not n1:
         return Scorer()
-    positive, negative = Counter(), Counter()
-    for y, bag in zip(known, bags):
-        if y >= 0:
-            (positive if y else negative).update(bag)
-    n1, n0 = int((known == 1).sum()), int((known == 0).sum())
+    tally = sample.where("toxic >= 0").mapInArrow(_tally, "term string, n1 long, n0 long").groupBy("term").agg(F.sum("n1").alias("n1"), F.sum("n0").alias("n0")).where(F.col("n1") + F.col("n0") >= MIN_DOCS)
+    tally = materialise(tally, "tally")
     # likelihood ratio of "occurs more in toxic texts" for each term, held against the number of terms tried
-    tried = {t: (c, negative[t]) for t, c in positive.items() if c + negative[t] >= MIN_DOCS}
-    bar = 2 * np.log(max(2, len(tried))) + 4
-    lean = {t: _ratio(c, d, n1, n0) for t, (c, d) in tried.items()}
-    cast = sorted((t for t, g in lean.items() if g > bar), key=lambda t: (-lean[t], t))[:VOTERS]
-    common = Counter(positive) + negative
-    others = [t for t, c in sorted(common.items(), key=lambda x: (-x[1], x[0])) if c >= MIN_DOCS and t not in set(cast)][:TERMS]
+    bar = 2 * np.log(max(2, tally.count())) + 4
+    c, d, expected = F.col("n1"), F.col("n0"), (F.col("n1") + F.col("n0")) * (n1 / (n1 + n0))
+    other = F.when(d > 0, d * F.log(d / (c + d - expected))).otherwise(0.0)
+    lean = F.when(c > expected, 2 * (c * F.log(c / expected) + other)).otherwise(0.0)
+    cast = [r[0] for r in tally.select("term", lean.alias("g")).where(F.col("g") > float(bar)).orderBy(F.desc("g"), "term").limit(VOTERS).collect()]
+    others = [r[0] for r in tally.where(~F.col("term").isin(cast)).orderBy(F.desc(c + d), "term").limit(TERMS).select("term").collect()]
     index = {t: i for i, t in enumerate([*cast, *others])}
+    sent = docs.sparkSession.sparkContext.broadcast(index)
+    got = sample.mapInArrow(_features(sent), "toxic int, terms array<int>, shapes array<int>").toArrow()
+    known = got.column("toxic").to_numpy()
+    bags, shaped = got.column("terms").to_pylist(), got.column("shapes").to_pylist()
+    # rows arrive in any order; a fixed one makes sums, and so scores, the same in every run
+    order = sorted(range(len(bags)), key=lambda i: (int(known[i]), bags[i], shaped[i]))
+    known, bags, shaped = known[order], [bags[i] for i in order], [shaped[i] for i in order]
     n, v = len(bags), len(cast)
-    rows, cols = [], []
-    for i, bag in enumerate(bags):
-        mine = [index[t] for t in bag if t in index]
-        rows += [i] * len(mine)
-        cols += mine
+    rows = np.repeat(np.arange(n), [len(x) for x in bags])
+    cols = [i for bag in bags for i in bag]
     rows, cols = np.array(rows, np.int64), np.array(cols, np.int64)
     votes = np.full((n, v + N_SHAPES), -1, np.int8)
     votes[rows[cols < v], cols[cols < v]] = 1
