@@ -36,7 +36,7 @@ MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 SHIFT = 10.0
 SAMPLES = 2
 #: Bytes of text whose distinct units share one lattice.
-CHUNK = 3 << 20
+CHUNK = 3 << 19
 _U = np.uint64
 _UNIT = re.compile(" +[^ ]*|[^ ]+")
 
@@ -167,7 +167,7 @@ class Lattice:
         m = int(self.begin[-1])
         self.src, self.next, self.piece, score = np.zeros(m, np.int64), np.zeros(m, np.int64), np.zeros(m, np.int64), np.zeros(m)
         for src, rank, dst, piece, logp in found:
-            at = self.begin[src] + rank
+            at = self.begin[src] + count[src] - 1 - rank  # longest piece first: the likeliest, found at once
             self.src[at], self.next[at], self.piece[at], score[at] = src, dst, piece, logp
         self.next[self.next == end[self.src]] = -1
         # from the units' ends backwards: what is left at each state sums to exp(below)
@@ -228,7 +228,12 @@ def draw(lattice: Lattice, start: np.ndarray, seed: np.ndarray) -> tuple[np.ndar
     step = 0
     while len(live):
         u = _uniform(mix(seed[live] + _U(step * 0x9E3779B97F4A7C15 & (1 << 64) - 1)))
-        e = np.searchsorted(upper, state + u, "right")
+        e = lattice.begin[state]
+        x = state + u
+        far = np.flatnonzero(upper[e] <= x)
+        while len(far):
+            e[far] += 1
+            far = far[upper[e[far]] <= x[far]]
         steps.append(live)
         edges.append(e)
         counts[live] += 1
@@ -264,17 +269,21 @@ class Search:
 
     def _siblings(self, path: np.ndarray, begin: int, bound: float) -> None:
         """Adds the sets left beside ``path`` from step ``begin`` on."""
-        q = self.lat.logq[path]
-        before = np.concatenate([[0.0], np.cumsum(q)[:-1]])
-        at = np.arange(begin, len(path))
-        at = at[q[begin:] < 0]
-        rest = np.log1p(-np.exp(np.minimum(q[at], -1e-16)))
-        mu = before[at] + rest
+        size = min(len(path), begin + 256)
+        while True:
+            q = self.lat.logq[path[:size]]
+            before = np.concatenate([[0.0], np.cumsum(q)])
+            at = np.arange(begin, size)
+            at = at[q[begin:] < 0]
+            mu = before[at] + np.log1p(-np.exp(np.minimum(q[at], -1e-16)))
+            # noise lies within -4 and REACH but for a chance of exp(-exp(4)) a draw: what can't reach the best is left out
+            if size == len(path) or (len(at) and before[-1] + self.REACH <= mu.max() - 12.0):
+                break
+            size = min(len(path), 4 * size)
         if not len(at):
             return
-        # noise lies within -4 and REACH but for a chance of exp(-exp(4)) a draw: what can't reach the best is left out
-        near = at[mu + self.REACH > mu.max() - 12.0]
-        mu = mu[mu + self.REACH > mu.max() - 12.0]
+        reach = mu + self.REACH > mu.max() - 12.0
+        near, mu = at[reach], mu[reach]
         self.turn += 1
         u = _uniform(mix(np.arange(len(near), dtype=_U) + _U(int(_hash(self.key, 3, self.turn) * 2**63))))
         g = _below(mu, bound, u)
@@ -292,10 +301,11 @@ class Search:
             self.open.sort(key=lambda x: -x[0])
             g, parent, step, out_of = self.open.pop(0)
             state = int(lat.src[parent[step]])
-            options = np.setdiff1d(lat.branches(state), out_of)
+            options = lat.branches(state)
+            options = options[~np.isin(options, out_of)] if len(out_of) > 1 else options[options != out_of[0]]
             p = np.exp(lat.logq[options])
             e = int(options[min(len(options) - 1, int(np.searchsorted(np.cumsum(p), self._noise() * p.sum(), "right")))])
-            rest = np.setdiff1d(options, [e])
+            rest = options[options != e]
             if len(rest):
                 mu = float(lat.logq[parent[:step]].sum() + np.log(np.exp(lat.logq[rest]).sum()))
                 self.open.append((float(_below(np.array([mu]), g, np.array([self._noise()]))[0]), parent, step, [*out_of, e]))
@@ -330,8 +340,9 @@ def _sample(sent, k: int, ids_out: bool):
                 keys = b.column(1).slice(lo, hi - lo).to_pylist()
                 units = [_UNIT.findall(" " + t) if t else [] for t in texts]
                 sizes = np.array([len(x) for x in units], np.int64)
-                number: dict[str, int] = {}
-                which = np.fromiter((number.setdefault(x, len(number)) for us in units for x in us), np.int64, int(sizes.sum()))
+                flat = [x for us in units for x in us]
+                number = {x: i for i, x in enumerate(dict.fromkeys(flat))}
+                which = np.fromiter(map(number.__getitem__, flat), np.int64, len(flat))
                 lattice = Lattice(vocabulary, list(number))
                 start = lattice.root[which]
                 place = np.concatenate([[0], np.cumsum(sizes)])
