@@ -284,16 +284,16 @@ def address_render(spark, sf_dir):
     return places(spark, sf_dir).where("address is not null").select("uid", address.render(address.parse(F.col("address"))).alias("rendered"))
 
 
-@query(fx.duck(_PARSED, final="SELECT uid, src AS source, rank, lat, lon, name, CASE WHEN address IS NOT NULL THEN street END AS street, array_to_string(list_sort(place_type), '|') AS types, extraction_date, requires_verification FROM parsed"))
+@query(fx.duck(_PARSED, final="SELECT uid, src AS source, rank, lat, lon, name, CASE WHEN address IS NOT NULL THEN street END AS street, array_to_string(list_sort(place_type), '|') AS types, extraction_date::VARCHAR AS extraction_date, requires_verification FROM parsed"))
 def standardised(spark, sf_dir):
     s = standardise.standard(places(spark, sf_dir))
-    return s.select("uid", "source", "rank", "geometry.lat", "geometry.lon", "name", "address.street", F.array_join(F.array_sort("place_types"), "|").alias("types"), "extraction_date", "requires_verification")
+    return s.select("uid", "source", "rank", "geometry.lat", "geometry.lon", "name", "address.street", F.array_join(F.array_sort("place_types"), "|").alias("types"), F.col("extraction_date").cast("string").alias("extraction_date"), "requires_verification")
 
 
-@query(fx.duck(_PARSED, final="SELECT uid, src AS source, name, lat, lon, extraction_date, requires_verification, CASE WHEN address IS NOT NULL THEN n END AS address FROM parsed"))
+@query(fx.duck(_PARSED, final="SELECT uid, src AS source, name, lat, lon, extraction_date::VARCHAR AS extraction_date, requires_verification, CASE WHEN address IS NOT NULL THEN n END AS address FROM parsed"))
 def geojson_roundtrip(spark, sf_dir):
     back = standardise.from_geojson(standardise.to_geojson(standardise.standard(places(spark, sf_dir))))
-    return back.select("uid", "source", "name", "lat", "lon", "extraction_date", "requires_verification", "address")
+    return back.select("uid", "source", "name", "lat", "lon", F.col("extraction_date").cast("string").alias("extraction_date"), "requires_verification", "address")
 
 
 @query("""SELECT page_id, nullif(regexp_extract(html, '<title>([^<]*)', 1), '') AS title, nullif(regexp_extract(url, '^[a-z]+://([^/?#]+)', 1), '') AS host, nullif(regexp_extract(html, '<html lang="([a-z]+)', 1), '') AS lang, len(regexp_extract_all(html, '<h1>'))::BIGINT AS headings FROM pages""")
@@ -695,7 +695,7 @@ def _set(col: str) -> str:
 
 _AREA = "round((bounds.north - bounds.south) * (bounds.east - bounds.west), 15)"
 _UNI = ("uni", f"""SELECT poi_id, round(avg(lat) FILTER (top), 7) AS lat, round(avg(lon) FILTER (top), 7) AS lon, {_pick('name')} AS name, {_pick('address')} AS address, {_set('place_type')} AS place_type, {_set('tags')} AS tags,
-array_to_string(list_sort(list_distinct(list(src))), '|') AS sources, array_to_string(list_sort(list(uid)), '|') AS members, count(*) AS n_members, max(extraction_date) AS extraction_date, bool_or(requires_verification) OR {_set('place_type')} = '' AS requires_verification,
+array_to_string(list_sort(list_distinct(list(src))), '|') AS sources, array_to_string(list_sort(list(uid)), '|') AS members, count(*) AS n_members, max(extraction_date)::VARCHAR AS extraction_date, bool_or(requires_verification) OR {_set('place_type')} = '' AS requires_verification,
 first(bounds ORDER BY {_AREA} DESC, uid DESC) FILTER (bounds IS NOT NULL) AS bounds, min(bounds.south) AS env_south, min(bounds.west) AS env_west, max(bounds.north) AS env_north, max(bounds.east) AS env_east FROM rw GROUP BY poi_id""")
 _UNIFY = [*comp_sql(), _ROWS, _UNI]
 
@@ -707,7 +707,7 @@ def _unified(spark, sf_dir, **options) -> tuple[DataFrame, DataFrame]:
 
 def flat(u: DataFrame) -> DataFrame:
     text = lambda c: F.array_join(c, "|").alias(c)
-    return u.select("poi_id", F.round("lat", 7).alias("lat"), F.round("lon", 7).alias("lon"), "name", "address", text("place_type"), text("tags"), text("sources"), text("members"), "n_members", "extraction_date", "requires_verification")
+    return u.select("poi_id", F.round("lat", 7).alias("lat"), F.round("lon", 7).alias("lon"), "name", "address", text("place_type"), text("tags"), text("sources"), text("members"), "n_members", F.col("extraction_date").cast("string").alias("extraction_date"), "requires_verification")
 
 
 @query(recursive(fx.duck(*_UNIFY, final="SELECT poi_id, lat, lon, name, address, place_type, tags, sources, members, n_members, extraction_date, requires_verification FROM uni")))
