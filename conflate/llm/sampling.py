@@ -36,7 +36,7 @@ MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 SHIFT = 10.0
 SAMPLES = 2
 #: Bytes of text whose distinct units share one lattice.
-CHUNK = 3 << 19
+CHUNK = 3 << 18
 _U = np.uint64
 _UNIT = re.compile(" +[^ ]*|[^ ]+")
 
