@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from conflate import fixtures as fx
 from conflate.functions import address, geo
 from conflate.functions.similarity import edit_similarity, token_sort
-from conflate.operators import candidates, cluster, features, learn, metrics, procure, resample, standardise, taxonomy, tfidf, unify, verify, wsa
+from conflate.operators import candidates, cluster, features, kernel, learn, metrics, procure, resample, standardise, taxonomy, tfidf, unify, verify, wsa
 from conflate.plans import pipeline
 from conflate.plans.tables import materialise
 
@@ -470,6 +470,11 @@ def pair_features(spark, sf_dir):
     return scored(spark, sf_dir, "hybrid")[1].withColumn("dist_m", F.round("dist_m", 2))
 
 
+@query(fx.duck(*features_sql("hybrid"), final="SELECT c, m, round(dist_m, 2) AS dist_m, s_name, s_addr, name_missing, addr_missing FROM feat"))
+def tile_kernel(spark, sf_dir):
+    return kernel.score_tiles(places(spark, sf_dir)).withColumn("dist_m", F.round("dist_m", 2))
+
+
 # ---- deciders ------------------------------------------------------------------------------------------------------------
 
 def _published(method: str, final: str) -> str:
