@@ -68,6 +68,8 @@ def pieces(col: pa.Array, limit: int = CHUNK_BYTES) -> Iterator[tuple[int, int]]
 
 def raw(col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """UTF-8 bytes of all texts in a row, and offsets of length n + 1; null counts as empty."""
+    if len(col) == 0:
+        return np.zeros(0, np.uint8), np.zeros(1, np.int64)
     col = pc.fill_null(col, "").cast(pa.large_string())
     _, off, data = col.buffers()
     offsets = np.frombuffer(off, np.int64, len(col) + 1, col.offset * 8)
