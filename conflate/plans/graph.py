@@ -11,8 +11,9 @@ from conflate.plans.tables import discard, materialise
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """(a, b) links -> one row (v, root) for every vertex that has a link; root = least vertex.
 
-    Each round points every vertex at its least neighbour, follows pointers twice, and contracts the
-    links; a chain of length d is gone after O(log d) rounds.  Hubs cost no more than their links: the
+    Each round points every vertex at its least neighbour, follows the pointers to their end by doubling, and
+    contracts the links.  A vertex that is no local minimum disappears, so at least half of them do: O(log n)
+    rounds of O(log d) doublings.  Hubs cost no more than their links: the
     minimum is combined on the map side and the relabelling joins are plain equi joins that adaptive
     execution may split.  Null ends and self links are ignored.
     """
@@ -27,11 +28,17 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
             break
         ends = e.select(F.col("a").alias("v"), F.col("b").alias("w")).union(e.select("b", "a"))
         up = materialise(ends.groupBy("v").agg(F.least(F.col("v"), F.min("w")).alias("p")), "pointers")
+        # double the pointers until every one ends at a root
         hop = up
-        for _ in range(2):
-            nxt = up.select(F.col("v").alias("p"), F.col("p").alias("q"))
-            hop = hop.join(nxt, "p", "left").select("v", F.coalesce("q", "p").alias("p"))
-        hop = materialise(hop, "hops")
+        while True:
+            nxt = hop.select(F.col("v").alias("p"), F.col("p").alias("q"))
+            further = materialise(hop.join(nxt, "p").select("v", F.col("q").alias("p"), (F.col("q") != F.col("p")).alias("moved")), "hops")
+            done = not further.where("moved").take(1)
+            if hop is not up:
+                discard(hop)
+            hop = further
+            if done:
+                break
         to_a = hop.select(F.col("v").alias("a"), F.col("p").alias("pa"))
         to_b = hop.select(F.col("v").alias("b"), F.col("p").alias("pb"))
         smaller = materialise(
@@ -47,6 +54,9 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
             discard(labels)
         discard(e)
         discard(up)
+        # the labels of the first round still read `hop`; later rounds have their own table
+        if labels is not None:
+            discard(hop)
         labels, e = new, smaller
     else:
         raise RuntimeError(f"components did not settle in {max_rounds} rounds")

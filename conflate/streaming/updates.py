@@ -20,8 +20,9 @@ def poi_updates(events: DataFrame, n_places: int, repeats: bool = True) -> DataF
     """Updates from events: target place, kind, event time, arrival up to two hours late; every 25th comes twice."""
     key = F.col("event_id").cast("string")
     kind = F.create_map(*[F.lit(x) for kv in KINDS.items() for x in kv])[F.col("event_type")]
-    late = F.timestamp_micros(F.unix_micros("ts") + (hash32(F.concat(F.lit("late"), key)) % 7200) * 1_000_000)
-    u = events.select("event_id", (F.col("event_id") % n_places).cast("string").alias("uid"), kind.alias("kind"), F.col("ts").alias("update_ts"), late.alias("arrival_ts"), F.get_json_object("props", "$.k").cast("long").alias("revision"), (F.col("value") % 30).alias("shift_m"))
+    ts = F.col("ts").cast("timestamp")
+    late = F.timestamp_micros(F.unix_micros(ts) + (hash32(F.concat(F.lit("late"), key)) % 7200) * 1_000_000)
+    u = events.select("event_id", (F.col("event_id") % n_places).cast("string").alias("uid"), kind.alias("kind"), ts.alias("update_ts"), late.alias("arrival_ts"), F.get_json_object("props", "$.k").cast("long").alias("revision"), (F.col("value") % 30).alias("shift_m"))
     if not repeats:
         return u
     again = F.when(hash32(F.concat(F.lit("re"), key)) % 25 == 0, F.array(F.lit(0), F.lit(1))).otherwise(F.array(F.lit(0)))
@@ -30,7 +31,7 @@ def poi_updates(events: DataFrame, n_places: int, repeats: bool = True) -> DataF
 
 def visits(events: DataFrame, n_places: int) -> DataFrame:
     """(user_id, ts, place, event_id): each user's places, seven at most."""
-    return events.select("user_id", "ts", (hash32(F.concat(F.lit("pl"), F.col("user_id").cast("string"), (F.col("event_id") % 7).cast("string"))) % n_places).alias("place"), "event_id")
+    return events.select("user_id", F.col("ts").cast("timestamp").alias("ts"), (hash32(F.concat(F.lit("pl"), F.col("user_id").cast("string"), (F.col("event_id") % 7).cast("string"))) % n_places).alias("place"), "event_id")
 
 
 def stream(spark: SparkSession, folder: str, schema: str = UPDATE, files_per_trigger: int = 1) -> DataFrame:
