@@ -6,13 +6,14 @@ so that the arrays beside it stay small; one document longer than that is a piec
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-CHUNK_BYTES = 1 << 20
+CHUNK_BYTES = 1 << 19
 
 _U = np.uint64
 _BASE = _U(0x9E3779B97F4A7C15 | 1)
@@ -29,6 +30,7 @@ ALNUM = np.zeros(256, bool)
 ALNUM[[*range(48, 58), *range(65, 91), *range(97, 123), *range(128, 256)]] = True
 
 _powers: dict[str, np.ndarray] = {}
+_libc = ctypes.CDLL(None) if hasattr(ctypes.CDLL(None), "malloc_trim") else None
 
 
 def _power(kind: str, base: np.uint64, n: int) -> np.ndarray:
@@ -53,8 +55,15 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
+def _give_back() -> None:
+    """Hand free memory to the system: idle workers of earlier stages share the executor with the next."""
+    pa.default_memory_pool().release_unused()
+    if _libc is not None:
+        _libc.malloc_trim(0)
+
+
 def pieces(col: pa.Array, limit: int = CHUNK_BYTES) -> Iterator[tuple[int, int]]:
-    """Row ranges of about ``limit`` bytes of text each."""
+    """Row ranges of about ``limit`` bytes of text each; free memory goes back to the system after the last."""
     if len(col) == 0:
         return
     ends = np.cumsum(np.asarray(pc.fill_null(pc.binary_length(col), 0), dtype=np.int64))
@@ -64,6 +73,7 @@ def pieces(col: pa.Array, limit: int = CHUNK_BYTES) -> Iterator[tuple[int, int]]
         hi = max(lo + 1, int(np.searchsorted(ends, base + limit, "right")))
         yield lo, hi
         lo = hi
+    _give_back()
 
 
 def raw(col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
