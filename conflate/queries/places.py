@@ -353,10 +353,13 @@ def radius_sweep(spark, sf_dir):
 # ---- similarities ------------------------------------------------------------------------------------------------------
 
 @query(fx.duck(final=f"SELECT uid, {tsort('name')} AS sorted_name FROM poi_raw"))
-def token_sorted(spark, sf_dir):
+def _token_sort(spark, sf_dir):
     return places(spark, sf_dir).select("uid", token_sort(F.col("name")).alias("sorted_name"))
 
 
+QUERIES["token_sort"], ORACLES["token_sort"] = QUERIES.pop("_token_sort"), ORACLES.pop("_token_sort")
+
+
 def _name_pairs(spark, sf_dir, metric: str, sort: bool = True, column: str = "name") -> DataFrame:
     p = fixed_places(spark, sf_dir)
     prepared = token_sort(F.col(column)) if sort else F.lower(F.col(column))
