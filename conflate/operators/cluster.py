@@ -40,3 +40,8 @@ def mutual_best(vertices: DataFrame, links: DataFrame) -> DataFrame:
     back = top.select(F.col("other").alias("uid"), F.col("uid").alias("other"))
     pairs = top.join(back, ["uid", "other"]).select("uid", F.least("uid", "other").alias("poi_id"))
     return vertices.select("uid").join(pairs, "uid", "left").select("uid", F.coalesce("poi_id", "uid").alias("poi_id"))
+
+
+def oversized(clusters: DataFrame, max_members: int = 25) -> DataFrame:
+    """(poi_id, n) of clusters with more members than a real place can have: chains to be looked at."""
+    return clusters.groupBy("poi_id").agg(F.count("*").alias("n")).where(F.col("n") > max_members)

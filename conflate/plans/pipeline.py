@@ -2,12 +2,26 @@
 
 from __future__ import annotations
 
+from typing import Protocol
+
 from pyspark.sql import DataFrame
 
 from conflate.operators import candidates, cluster, features, procure, unify, wsa
 from conflate.plans.tables import materialise
 
 
+class Matcher(Protocol):
+    """Any scorer of pairs: features in, ``score`` (0 to 1) and ``prediction`` (0 or 1) added."""
+
+    def predict(self, features: DataFrame) -> DataFrame: ...
+
+
+def match_with(places: DataFrame, matcher: Matcher, method: str = "hybrid", r: float = 100.0) -> DataFrame:
+    """Ordered decisions by a given matcher, as a trained ensemble is."""
+    pairs = materialise(candidates.within_radius(places, r), "pairs")
+    return matcher.predict(features.build(places, pairs, method))
+
+
 def match(places: DataFrame, method: str = "hybrid", r: float = 100.0, params: tuple[float, float, float] | None = None) -> DataFrame:
     """(c, m, ..., score, prediction) of ordered pairs by a weighted-sum decider; pairs are written once, as several
     branches read them."""

@@ -690,6 +690,23 @@ def unified_count(spark, sf_dir):
     return cluster.components(*_links(spark, sf_dir)).agg(F.count_distinct("poi_id").alias("unified"), F.count("*").alias("procured"))
 
 
+@query(recursive(fx.duck(*comp_sql(), final="SELECT poi_id, count(*) AS n FROM cl GROUP BY poi_id HAVING count(*) > 5")))
+def oversized_clusters(spark, sf_dir):
+    return cluster.oversized(cluster.components(*_links(spark, sf_dir)), 5)
+
+
+@query()
+def m9_unified(spark, sf_dir):
+    """The proposed matcher end to end: balanced ensemble of boosted trees, components, unification."""
+    p, f = scored(spark, sf_dir, "hybrid")
+    small = spark.read.parquet(f"{sf_dir}/part.parquet").count() < 1000
+    region = p if small else p.where((F.col("x") <= 0.4 * F.col("side_m")) & (F.col("y") <= 0.4 * F.col("side_m")))
+    f = materialise(f, "features")
+    rows = materialise(resample.split(features.labelled(features.undirected(f), region.select("uid", "e"))), "labelled")
+    model = learn.fit_rebalanced(rows.where("train"), "gb", BAGS, grid=learn.GRIDS["gb"][:1])
+    return flat(pipeline.conflate(p, model.predict(f))[1])
+
+
 _ROWS = ("rw", "SELECT p.*, cl.poi_id, p.rank = min(p.rank) OVER (PARTITION BY cl.poi_id) AS top FROM poi_raw p JOIN cl ON cl.uid = p.uid")
 
 
