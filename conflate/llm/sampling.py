@@ -36,7 +36,7 @@ MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 SHIFT = 10.0
 SAMPLES = 2
 #: Bytes of text whose distinct units share one lattice.
-CHUNK = 3 << 18
+CHUNK = 3 << 16
 _U = np.uint64
 _UNIT = re.compile(" +[^ ]*|[^ ]+")
 
@@ -169,6 +169,7 @@ class Lattice:
         for src, rank, dst, piece, logp in found:
             at = self.begin[src] + count[src] - 1 - rank  # longest piece first: the likeliest, found at once
             self.src[at], self.next[at], self.piece[at], score[at] = src, dst, piece, logp
+        del found, live, node, letter
         self.next[self.next == end[self.src]] = -1
         # from the units' ends backwards: what is left at each state sums to exp(below)
         below = np.zeros(n + 1)
@@ -186,6 +187,7 @@ class Lattice:
         q = score - below[self.src]
         q[np.repeat(count == 1, count)] = 0.0
         self.logq = q
+        del score, below
         total = np.concatenate([[0.0], np.cumsum(np.exp(q))])
         self.upper = self.src + np.minimum(total[1:] - total[self.begin[self.src]], 1.0 - 1e-9)
         self.upper[self.begin[1:] - 1] = np.arange(n) + 1.0
