@@ -31,3 +31,15 @@ def bounded_sample(df: DataFrame, key: str, groups: str, per_group: int, seed: i
             share = F.when(F.col(groups) == F.lit(value), F.lit(per_group / n)).otherwise(share)
     u = F.pmod(F.xxhash64(F.lit(seed), F.col(key)), F.lit(1_000_003)) / F.lit(1_000_003.0)
     return df.where(u < share)
+
+
+#: Rows of one Arrow batch at most.  Texts run to hundreds of kilobytes, and both sides hold a batch whole.
+ROWS_PER_BATCH = 1_000
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Keep Arrow batches of documents small; a runtime setting, lowered and never raised."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    now = int(spark.conf.get(name))
+    if now <= 0 or now > ROWS_PER_BATCH:
+        spark.conf.set(name, str(ROWS_PER_BATCH))

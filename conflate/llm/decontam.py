@@ -26,6 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from conflate.llm.common import small_batches
 from conflate.llm.textkit import ALNUM, Words, mix, pieces
 from conflate.plans.tables import broadcast_if_small, materialise
 
@@ -171,6 +172,7 @@ def _short(items, w, words, shorter) -> list:
 def matches(docs: DataFrame, benchmark: DataFrame, words: int = WORDS, least: float = SIMILAR, radius: int = RADIUS) -> DataFrame:
     """(doc_id, item_id, first_word, similarity): the best window of each document for each item found in it."""
     spark = docs.sparkSession
+    small_batches(spark)
     rows = benchmark.select("item_id", "text").where("text is not null")
     n = rows.count()
     chunks = max(1, -(-n // ITEMS_AT_ONCE))

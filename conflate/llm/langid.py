@@ -23,7 +23,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from conflate.llm.common import bounded_sample
+from conflate.llm.common import bounded_sample, small_batches
 from conflate.llm.textkit import pieces
 
 MAX_ROWS_PER_LANGUAGE = 4_000
@@ -109,6 +109,7 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def learn(rows: DataFrame, per_language: int = MAX_ROWS_PER_LANGUAGE) -> Profiles:
     """Profiles from (doc_id, text, lang) rows with a language."""
+    small_batches(rows.sparkSession)
     known = rows.where("lang is not null and text is not null").select("doc_id", "lang", "text")
     sample = bounded_sample(known, "doc_id", "lang", per_language)
     counts = sample.select("lang", "text").mapInArrow(_count, "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
@@ -128,6 +129,7 @@ def learn(rows: DataFrame, per_language: int = MAX_ROWS_PER_LANGUAGE) -> Profile
 
 def predict(docs: DataFrame, profiles: Profiles, keep: list[str] | None = None) -> DataFrame:
     """The ``keep`` columns (default: doc_id) with lang_pred and score; only ``text`` is looked at."""
+    small_batches(docs.sparkSession)
     keep = keep or ["doc_id"]
     sent = docs.sparkSession.sparkContext.broadcast(profiles)
 

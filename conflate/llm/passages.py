@@ -29,6 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from conflate.llm.common import small_batches
 from conflate.llm.textkit import BLANK_SPLIT, Words, mix, pieces, ranges, signed
 from conflate.plans.tables import broadcast_if_small, discard, materialise
 
@@ -49,8 +50,10 @@ class Runs:
         self.gram = np.full(n, np.iinfo(_U).max, _U)
         self.gram[g_at] = g
         least, where, have = self.gram, np.arange(n), 1
-        while have < width and len(least) > 0:
+        while have < width:
             k = min(have, width - have)
+            if len(least) <= k:  # fewer words than a window: there is none
+                break
             later = least[k:] < least[: len(least) - k]
             least, where, have = np.where(later, least[k:], least[: len(least) - k]), np.where(later, where[k:], where[: len(where) - k]), have + k
         self.anchor_at = where[self.at] if len(self.at) else np.zeros(0, np.int64)
@@ -194,6 +197,7 @@ def confirmed(docs: DataFrame, size: int = SIZE, gram: int = GRAM) -> DataFrame:
 
 def remove(docs: DataFrame, size: int = SIZE, gram: int = GRAM, texts: bool = True) -> DataFrame:
     """doc_id, n_words, n_removed and the kept words joined by blanks (``kept``), or their sha256 without ``texts``."""
+    small_batches(docs.sparkSession)
     found = confirmed(docs, size, gram)
     rows = docs.select("doc_id", "text", F.xxhash64("doc_id", "text").alias("key")).join(found, "key", "left").select("doc_id", "text", "runs")
     kind = docs.schema["doc_id"].dataType.simpleString()

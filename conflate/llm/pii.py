@@ -27,6 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from conflate.llm.common import small_batches
 from conflate.plans.tables import broadcast_if_small, materialise
 
 KINDS = ("email", "ip", "card", "phone")
@@ -201,6 +202,7 @@ def _rewrite(text: str, spans: list[tuple[int, int, int, str]]) -> str:
 
 def find(docs: DataFrame, texts: bool = False, support: int = SUPPORT, discloses: float = DISCLOSES) -> DataFrame:
     """Spans of every document; ``texts`` adds the sanitised text as ``clean``."""
+    small_batches(docs.sparkSession)
     keyed = docs.select("doc_id", "text", F.xxhash64("doc_id", "text").alias("key"))
     context = materialise(keyed.select("key", "text").mapInArrow(_context, "key long, entity string, term string"), "context")
     reveals = materialise(disclosing(docs, context, support, discloses).select("entity", "term"), "reveals")

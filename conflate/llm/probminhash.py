@@ -27,6 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from conflate.llm.common import small_batches
 from conflate.llm.textkit import ALNUM, Words, mix, pieces, ranges, signed
 from conflate.plans.graph import components
 from conflate.plans.tables import broadcast_if_small, discard, materialise
@@ -140,6 +141,7 @@ def _candidates(members: DataFrame) -> DataFrame:
 
 def links(docs: DataFrame, size: int = WORDS, least: float = SIMILAR, bands: int = BANDS, rows: int = ROWS) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(signature rows, text classes, verified links between text classes' representatives)."""
+    small_batches(docs.sparkSession)
     kind = docs.schema["doc_id"].dataType.simpleString()
     keyed = docs.select(F.xxhash64("doc_id", "text").alias("key"), "doc_id", "text")
     signed_rows = materialise(keyed.mapInArrow(_sign(size, bands, rows), f"key long, doc_id {kind}, h1 long, h2 long, bands array<long>"), "signatures")

@@ -30,6 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from conflate.llm.common import small_batches
 from conflate.llm.textkit import mix, pieces
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
@@ -82,7 +83,7 @@ class Vocabulary:
 
 def _trie(table: dict[str, tuple[int, float]]) -> tuple[np.ndarray, ...]:
     letters = sorted({c for p in table for c in p})
-    letter = np.zeros(0x110000, np.int64)
+    letter = np.zeros(0x110000, np.int32)
     letter[[ord(c) for c in letters]] = np.arange(1, len(letters) + 1)
     node: dict[str, int] = {"": 0}
     steps = []
@@ -140,7 +141,7 @@ class Lattice:
         codes = np.frombuffer("".join(units).encode("utf-32-le", "surrogatepass"), np.uint32)
         n = len(codes)
         end = np.repeat(stop, sizes)
-        letter = v.letter[codes]
+        letter = v.letter[codes].astype(np.int64)
         live, node, count, found = np.arange(n), np.zeros(n, np.int64), np.zeros(n, np.int64), []
         for k in range(v.longest):
             on = live + k < end[live]
@@ -381,7 +382,10 @@ def encode(docs: DataFrame, model: str = MODEL, k: int = SAMPLES, power: float =
     (piece numbers; their sha256 as little-endian 32-bit numbers with ``ids=False``).  The vocabulary file is
     read on the driver only.
     """
-    sent = docs.sparkSession.sparkContext.broadcast(Vocabulary.load(model, power=power))
+    small_batches(docs.sparkSession)
+    vocabulary = Vocabulary.load(model, power=power)
+    vocabulary.pieces = {}  # the tasks need the trie only
+    sent = docs.sparkSession.sparkContext.broadcast(vocabulary)
     kind = docs.schema["doc_id"].dataType.simpleString()
     rows = docs.select("doc_id", F.xxhash64(F.lit(seed), F.col("doc_id")).alias("key"), "text")
     return rows.mapInArrow(_sample(sent, k, ids), f"doc_id {kind}, sample int, n_pieces int, log_prob double, inclusion double, decodes boolean, ids {'array<int>' if ids else 'string'}")

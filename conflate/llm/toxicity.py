@@ -29,6 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from conflate.llm.common import small_batches
 from conflate.plans.tables import materialise
 
 MAX_LABELLED = 16_000
@@ -201,6 +202,7 @@ def logistic(rows: np.ndarray, cols: np.ndarray, n: int, m: int, target: np.ndar
 
 def learn(docs: DataFrame, labels: DataFrame, max_labelled: int = MAX_LABELLED, max_unlabelled: int = MAX_UNLABELLED) -> Scorer:
     """A scorer from the rows of ``docs`` (doc_id, text), all of them for learning, and their labels."""
+    small_batches(docs.sparkSession)
     marked = labels.where("toxic is not null").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     with_label = _chosen(docs.select("doc_id").join(marked, "doc_id"), max_labelled, 11).select("doc_id", "toxic")
     without = _chosen(docs.select("doc_id").join(marked, "doc_id", "left_anti"), max_unlabelled, 12).select("doc_id", F.lit(-1).alias("toxic"))
@@ -245,6 +247,7 @@ def learn(docs: DataFrame, labels: DataFrame, max_labelled: int = MAX_LABELLED,
 
 def score(docs: DataFrame, scorer: Scorer) -> DataFrame:
     """doc_id and score of every row."""
+    small_batches(docs.sparkSession)
     sent = docs.sparkSession.sparkContext.broadcast(scorer)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

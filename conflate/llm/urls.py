@@ -17,6 +17,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from conflate.llm.common import small_batches
+
 #: Largest rule list that is sent to the tasks; a longer list is refused rather than sent.
 MAX_RULES = 5_000_000
 
@@ -88,6 +90,7 @@ class HostPathTrie:
 
 def judge(pages: DataFrame, rules: Iterable[tuple[str, str, str]], default: str = "allow", key: str = "page_id", url: str = "url") -> DataFrame:
     """(key, host, path, rule, verdict) for every row."""
+    small_batches(pages.sparkSession)
     trie = HostPathTrie(rules, default)
     sent = pages.sparkSession.sparkContext.broadcast(trie)
 
