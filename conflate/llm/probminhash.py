@@ -166,7 +166,11 @@ def links(docs: DataFrame, size: int = WORDS, least: float = SIMILAR, bands: int
     for _ in range(REGROUPINGS if rest.take(1) else 0):
         roots = components(found).select(F.col("v").alias("rep"), "root")
         apart = rest.join(roots, "rep", "left").groupBy("band", "bucket", F.coalesce("root", "rep").alias("root")).agg(F.min_by("rep", F.xxhash64("rep", F.lit(3))).alias("rep")).select("band", "bucket", "rep")
-        more = materialise(_candidates(apart).join(pairs, ["a", "b"], "left_anti"), "pairs")
+        # one text of each class is left in a bucket; a bucket with one class is settled
+        apart = materialise(apart, "apart")
+        unsettled = apart.groupBy("band", "bucket").agg(F.count("*").alias("n")).where("n > 1").select("band", "bucket")
+        rest = materialise(apart.join(unsettled, ["band", "bucket"], "left_semi"), "crowds")
+        more = materialise(_candidates(rest).join(pairs, ["a", "b"], "left_anti"), "pairs")
         if not more.take(1):
             break
         new = verified(more)
