@@ -2,9 +2,14 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterator
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from conflate.plans.graph import components
+from conflate.plans.tables import discard, materialise
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
@@ -43,3 +48,33 @@ def small_batches(spark: SparkSession) -> None:
     now = int(spark.conf.get(name))
     if now <= 0 or now > ROWS_PER_BATCH:
         spark.conf.set(name, str(ROWS_PER_BATCH))
+
+
+#: Lines or texts of a crowded bucket that meet all others in the first round, and the growth from round to round.
+PIVOTS, GROWTH = 8, 8
+
+
+def crowds(members: DataFrame, bucket: list[str], vertex: str, links: Callable[[], DataFrame], near: Callable[[str, str], str] | None = None) -> Iterator[DataFrame]:
+    """Pairs (a < b) to test, round by round, until every pair of a bucket was given or is connected.
+
+    ``members`` has a row of each vertex of each bucket; ``links`` gives the links found so far; ``near`` an SQL
+    condition on two members x and y.  In a round a hashed share of a bucket's members meet all members of other
+    components, and then leave.  The share grows until all are in it, so the rounds end.
+    """
+    rest, round_ = materialise(members, "crowds"), 0
+    while rest.take(1):
+        roots = components(links()).select(F.col("v").alias(vertex), "root")
+        rooted = rest.join(roots, vertex, "left").withColumn("root", F.coalesce("root", vertex))
+        rooted = materialise(rooted, "rooted")
+        sizes = rooted.groupBy(*bucket).agg(F.count("*").alias("n"), F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi")
+        share = F.pmod(F.xxhash64(vertex, F.lit(5)), F.lit(1_000_003)) * F.col("n") < F.lit(1_000_003 * PIVOTS * GROWTH**round_)
+        live = materialise(rooted.join(sizes.select(*bucket, "n"), bucket).withColumn("pivot", share).drop("n"), "live")
+        fields = F.struct(*[c for c in live.columns if c not in bucket])
+        two = live.where("pivot").select(*bucket, fields.alias("x")).join(live.select(*bucket, fields.alias("y")), bucket)
+        two = two.where("x.root <> y.root").where(f"not y.pivot or x.{vertex} < y.{vertex}")
+        two = two.where(near("x", "y")) if near else two
+        yield two.select(F.least(f"x.{vertex}", f"y.{vertex}").alias("a"), F.greatest(f"x.{vertex}", f"y.{vertex}").alias("b")).distinct()
+        discard(rooted)
+        discard(rest)
+        rest, round_ = materialise(live.where("not pivot").drop("pivot", "root"), "crowds"), round_ + 1
+        discard(live)
