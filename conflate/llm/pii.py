@@ -7,7 +7,8 @@ context.  With document counts over all documents,
 
     IC(e) = log(N / n(e)),   PMI(e, t) = log(N * n(e, t) / (n(e) * n(t)))
 
-a term of ``SUPPORT`` joint documents discloses e when PMI >= ``DISCLOSES`` * IC.  In every document that holds e
+a term discloses e when PMI >= ``DISCLOSES`` * IC, for entities of a single document too: there, terms of at most
+N^(1 - ``DISCLOSES``) documents.  In every document that holds e
 each occurrence of such a term is a span of kind ``term``.  Sanitising replaces base spans by their kind, and a
 disclosing term by its first ``STEM`` letters where that coarser term doesn't disclose e itself, else removes it.
 
@@ -20,6 +21,7 @@ from __future__ import annotations
 
 import hashlib
 import re
+from bisect import bisect_left, bisect_right
 from collections import Counter
 from collections.abc import Iterator
 
@@ -32,7 +34,6 @@ from conflate.plans.tables import broadcast_if_small, materialise
 
 KINDS = ("email", "ip", "card", "phone")
 REACH = 8
-SUPPORT = 3
 DISCLOSES = 0.8
 STEM = 4
 #: Terms counted in one pass over the documents; more terms make more passes.
@@ -104,18 +105,15 @@ def _context(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             if not spans:
                 continue
             inside = [(s, z) for s, _, z in spans]
+            words = list(_WORD.finditer(text))
+            starts, ends = [m.start() for m in words], [m.end() for m in words]
             seen = set()
             for s, kind, z in spans:
                 e = entity(text, kind, s, z)
                 seen.add((e, ""))
-                # REACH words to either side; 60 letters a word is more than enough to look at
-                left = [m for m in _WORD.finditer(text, max(0, s - 60 * REACH), s)][-REACH:]
-                right = []
-                for m in _WORD.finditer(text, z, z + 60 * REACH):
-                    right.append(m)
-                    if len(right) == REACH:
-                        break
-                for m in left + right:
+                # REACH words to either side, however far away
+                before, after = bisect_right(ends, s), bisect_left(starts, z)
+                for m in words[max(0, before - REACH) : before] + words[after : after + REACH]:
                     if not any(a < m.end() and m.start() < q for a, q in inside):
                         t = m.group().lower()
                         seen.add((e, t))
@@ -142,12 +140,12 @@ def _document_counts(sent):
     return run
 
 
-def disclosing(docs: DataFrame, context: DataFrame, support: int = SUPPORT, discloses: float = DISCLOSES) -> DataFrame:
+def disclosing(docs: DataFrame, context: DataFrame, discloses: float = DISCLOSES) -> DataFrame:
     """(entity, term, pmi, ic) of the terms that reveal an entity, stems included."""
     spark = docs.sparkSession
     joint = context.groupBy("entity", "term").agg(F.count("*").alias("n"))
     of_entity = joint.where("term = ''").select("entity", F.col("n").alias("ne"))
-    pairs = materialise(joint.where(F.col("term") != "").where(F.col("n") >= support).join(of_entity, "entity"), "pairs")
+    pairs = materialise(joint.where(F.col("term") != "").join(of_entity, "entity"), "pairs")
     terms = materialise(pairs.select("term").distinct(), "terms")
     n_terms, n_docs = terms.count(), docs.count()
     passes = max(1, -(-n_terms // TERMS_AT_ONCE))
@@ -200,12 +198,12 @@ def _rewrite(text: str, spans: list[tuple[int, int, int, str]]) -> str:
     return "".join([*out, text[at:]])
 
 
-def find(docs: DataFrame, texts: bool = False, support: int = SUPPORT, discloses: float = DISCLOSES) -> DataFrame:
+def find(docs: DataFrame, texts: bool = False, discloses: float = DISCLOSES) -> DataFrame:
     """Spans of every document; ``texts`` adds the sanitised text as ``clean``."""
     small_batches(docs.sparkSession)
     keyed = docs.select("doc_id", "text", F.xxhash64("doc_id", "text").alias("key"))
     context = materialise(keyed.select("key", "text").mapInArrow(_context, "key long, entity string, term string"), "context")
-    reveals = materialise(disclosing(docs, context, support, discloses).select("entity", "term"), "reveals")
+    reveals = materialise(disclosing(docs, context, discloses).select("entity", "term"), "reveals")
     words, stems = reveals.where(~F.col("term").endswith("*")), reveals.where(F.col("term").endswith("*")).select("entity", F.expr(f"substring(term, 1, {STEM})").alias("stem"), F.lit(True).alias("tells"))
     words = words.withColumn("stem", F.substring("term", 1, STEM)).join(stems, ["entity", "stem"], "left")
     words = words.select("entity", "term", F.when(F.col("tells").isNotNull() | (F.char_length("term") <= STEM), "").otherwise(F.concat("stem", F.lit("*"))).alias("coarse"))
