@@ -11,8 +11,8 @@ Registers are banded (``BANDS`` x ``ROWS``): at J = 0.8 a pair misses every band
 Candidates are then verified by the exact J of their whole texts, and links make classes.
 
 Texts with equal words are one vertex from the start, so copies are never paired.  In a bucket of up to
-``PAIRED`` different texts every pair is a candidate; in a larger one each text meets three leaders, and the
-classes still apart in that bucket meet again, round by round, until no round links any more.
+``PAIRED`` different texts every pair is a candidate; in a larger one each text meets three leaders, then growing
+shares of the texts meet all others, until every pair of the bucket was tested or is in one class.
 
 Defined results: null, empty and wordless texts are classes of their own; a text under five words is one
 element; repeated rows are members like any other; a class is named by its least doc_id.
@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from conflate.llm.common import small_batches
+from conflate.llm.common import crowds, small_batches
 from conflate.llm.textkit import ALNUM, Words, mix, pieces, ranges, signed
 from conflate.plans.graph import components
 from conflate.plans.tables import broadcast_if_small, discard, materialise
@@ -37,7 +37,6 @@ SIMILAR = 0.8
 BANDS = 26
 ROWS = 5
 PAIRED = 32
-REGROUPINGS = 4
 _U = np.uint64
 
 
@@ -162,21 +161,10 @@ def links(docs: DataFrame, size: int = WORDS, least: float = SIMILAR, bands: int
     pairs = materialise(_candidates(members), "pairs")
     found = verified(pairs)
     large = members.groupBy("band", "bucket").agg(F.count("*").alias("n")).where(F.col("n") > PAIRED).select("band", "bucket")
-    rest = materialise(members.join(large, ["band", "bucket"], "left_semi"), "crowds")
-    for _ in range(REGROUPINGS if rest.take(1) else 0):
-        roots = components(found).select(F.col("v").alias("rep"), "root")
-        apart = rest.join(roots, "rep", "left").groupBy("band", "bucket", F.coalesce("root", "rep").alias("root")).agg(F.min_by("rep", F.xxhash64("rep", F.lit(3))).alias("rep")).select("band", "bucket", "rep")
-        # one text of each class is left in a bucket; a bucket with one class is settled
-        apart = materialise(apart, "apart")
-        unsettled = apart.groupBy("band", "bucket").agg(F.count("*").alias("n")).where("n > 1").select("band", "bucket")
-        rest = materialise(apart.join(unsettled, ["band", "bucket"], "left_semi"), "crowds")
-        more = materialise(_candidates(rest).join(pairs, ["a", "b"], "left_anti"), "pairs")
-        if not more.take(1):
-            break
-        new = verified(more)
-        if not new.take(1):
-            break
-        found, pairs = materialise(found.unionByName(new), "verified"), materialise(pairs.unionByName(more), "pairs")
+    for more in crowds(members.join(large, ["band", "bucket"], "left_semi"), ["band", "bucket"], "rep", lambda: found):
+        more = materialise(more.join(pairs, ["a", "b"], "left_anti"), "pairs")
+        if more.take(1):
+            found, pairs = materialise(found.unionByName(verified(more)), "verified"), materialise(pairs.unionByName(more), "pairs")
     return signed_rows, classes, found
 
 
