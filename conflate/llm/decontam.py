@@ -8,7 +8,8 @@ tables of the items' fingerprints miss none.  Each item so found is verified by
 of the elements, and the best window of each (document, item) at ``SIMILAR`` or more is returned.
 
 A window is fingerprinted when its document shares enough elements with an item of that size for the similarity
-to be reached at all: s * 2 * n / (1 + s) of n elements.  Windows left out can't pass the verification.
+to be reached at all: s * (n + m) / (1 + s) of the item's n elements, m being those of the window (all of a
+shorter text's).  Windows left out can't pass the verification.
 
 Items go to every task, ``ITEMS_AT_ONCE`` at a time; a longer list makes several passes.  Defined results: null
 and empty texts and items match nothing; repeated items are reported each; repeated documents are rows of
@@ -99,7 +100,6 @@ def _search(sent, words: int, least: float, radius: int):
         items: Items = sent.value
         sieve = np.zeros(1 << 22, bool)
         sieve[(items.keys & _U((1 << 22) - 1)).astype(np.int64)] = True
-        need = np.array([least * 2 * len(b) / (1 + least) for b in items.bags])
         shorter = sorted({int(s) for s in items.size if s < words})
         for b in batches:
             for lo, hi in pieces(b.column(1)):
@@ -111,7 +111,7 @@ def _search(sent, words: int, least: float, radius: int):
                     k = np.minimum(np.searchsorted(items.keys, h[hit]), len(items.keys) - 1)
                     good = items.keys[k] == h[hit]
                     hit, k = hit[good], k[good]
-                    found += _of_hits(items, w, at, h, hit, k, need, words, least, radius, cut)
+                    found += _of_hits(items, w, at, h, hit, k, words, least, radius, cut)
                 if shorter or (w.counts() < words).any():
                     found += _short(items, w, words, shorter)
                 if found:
@@ -121,7 +121,7 @@ def _search(sent, words: int, least: float, radius: int):
     return run
 
 
-def _of_hits(items, w, at, h, hit, k, need, words, least, radius, cut) -> list:
+def _of_hits(items, w, at, h, hit, k, words, least, radius, cut) -> list:
     docs = w.doc[at[hit]]
     got: dict[tuple[int, int], list[int]] = {}
     for d, p, owner in zip(docs.tolist(), hit.tolist(), k.tolist()):
@@ -129,10 +129,12 @@ def _of_hits(items, w, at, h, hit, k, need, words, least, radius, cut) -> list:
             got.setdefault((d, int(i)), []).append(p)
     best: dict[tuple[int, int], tuple[float, int]] = {}
     sizes: dict[tuple[int, int], set] = {}
+    start_of_doc = np.searchsorted(at, w.first)  # element rows of each document
+    of_doc = np.diff(start_of_doc)
     for (d, i), ps in got.items():
-        if len(ps) >= need[i]:
+        n, m = len(items.bags[i]), min(int(items.size[i]) - words + 1, int(of_doc[d]))
+        if len(ps) >= least * (n + m) / (1 + least) - 1e-9:
             sizes.setdefault((d, int(items.size[i])), set()).update(ps)
-    start_of_doc = np.searchsorted(at, w.first)  # element rows of each document
     for (d, n), ps in sizes.items():
         a, z = int(start_of_doc[d]), int(start_of_doc[d + 1])
         span = min(n - words + 1, z - a)
