@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from conflate.plans.graph import components
-from conflate.plans.tables import discard, materialise
+from conflate.plans.tables import broadcast_if_small, discard, materialise
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -50,6 +50,54 @@ def small_batches(spark: SparkSession) -> None:
         spark.conf.set(name, str(ROWS_PER_BATCH))
 
 
+def text_key(text: Column) -> Column:
+    """Hash of a whole text.  With doc_id it tells rows apart: rows alike in both are interchangeable."""
+    return F.xxhash64(text)
+
+
+def _same(left: DataFrame, right: DataFrame) -> Column:
+    """A null doc_id equals itself."""
+    return left["doc_id"].eqNullSafe(right["doc_id"]) & (left["__th"] == right["th"])
+
+
+def without(docs: DataFrame, gone: DataFrame, once: DataFrame | None = None) -> DataFrame:
+    """``docs`` less the rows whose (doc_id, th) stands in ``gone``; all columns kept.
+
+    Of rows alike in both that stand in ``once``, one stays.  One rule at every size: the join is null-safe
+    whether a side is broadcast or not, and copies combine on the map side.
+    """
+    keyed = docs.withColumn("__th", text_key(F.col("text")))
+    gone = broadcast_if_small(gone)
+    kept = keyed.join(gone, _same(keyed, gone), "left_anti")
+    if once is not None and once.take(1):
+        once = broadcast_if_small(once)
+        one = kept.join(once, _same(kept, once), "left_semi").dropDuplicates(["doc_id", "__th"])
+        kept = kept.join(once, _same(kept, once), "left_anti").unionByName(one)
+    return kept.select(*docs.columns)
+
+
+def apply_per_row(docs: DataFrame, decided: DataFrame, value: str) -> DataFrame:
+    """``docs`` with the column ``value`` of ``decided``, (row, doc_id, th, value) for every row of ``docs``.
+
+    Rows alike in doc_id and text are interchangeable: one of them gets the value of the least ``row``, the others
+    that of the greatest.  Only such rows are written and numbered.
+    """
+    by_key = decided.groupBy("doc_id", "th").agg(F.count("*").alias("__n"), F.min_by(value, "row").alias("__first"), F.max_by(value, "row").alias("__rest"))
+    by_key = materialise(by_key.where("__n > 1 or __first is not null"), "decisions")
+    keyed = docs.withColumn("__th", text_key(F.col("text")))
+    side = by_key.withColumnRenamed("doc_id", "__id")
+    joined = keyed.join(side, keyed["doc_id"].eqNullSafe(side["__id"]) & (keyed["__th"] == side["th"]), "left")
+    columns = [*docs.columns, value]
+    out = joined.where("__n is null or __n = 1").withColumn(value, F.col("__first")).select(*columns)
+    if by_key.where("__n > 1").take(1):
+        alike = materialise(joined.where("__n > 1").withColumn("__at", F.monotonically_increasing_id()), "alike")
+        least = alike.groupBy("doc_id", "__th").agg(F.min("__at").alias("__least")).withColumnsRenamed({"doc_id": "__id", "__th": "th"}).select("__id", "th", "__least")
+        alike = alike.drop("__id", "th")
+        marked = alike.join(least, alike["doc_id"].eqNullSafe(least["__id"]) & (alike["__th"] == least["th"]))
+        out = out.unionByName(marked.withColumn(value, F.when(F.col("__at") == F.col("__least"), F.col("__first")).otherwise(F.col("__rest"))).select(*columns))
+    return out
+
+
 #: Lines or texts of a crowded bucket that meet all others in the first round, and the growth from round to round.
 PIVOTS, GROWTH = 8, 8
 
