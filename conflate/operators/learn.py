@@ -1,11 +1,13 @@
 """Learned deciders: boosting, bagging, linear SVM; tuning; ensembles over balanced bags.
 
-Labelled pairs are few by nature; the fits are small and never see the pairs of the study area.
+Labelled pairs are few by nature and the fits are small.  They come from a training region; which places that is,
+and that the study area lies apart from it, is the caller's part.
 """
 
 from __future__ import annotations
 
 import math
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -34,7 +36,7 @@ def estimator(learner: str, params: dict, weighted: bool = False, seed: int = 1)
         # bagging looks at every feature in every node; the forest at a random subset
         return RandomForestClassifier(**common, seed=seed, bootstrap=True, subsamplingRate=1.0, featureSubsetStrategy="all" if learner == "bag" else "sqrt", **params)
     if learner == "svm":
-        return LinearSVC(**common, standardization=False, maxIter=50, **({"weightCol": "weight"} if weighted else {}), **params)
+        return LinearSVC(**common, standardization=False, maxIter=20, **({"weightCol": "weight"} if weighted else {}), **params)
     raise ValueError(learner)
 
 
@@ -59,7 +61,7 @@ class Model:
         return out.withColumn(name, p).drop("probability", "rawPrediction", "prediction")
 
 
-def fit(train: DataFrame, learner: str, params: dict | None = None, seed: int = 1, weighted: bool = False) -> Model:
+def fit(train: DataFrame, learner: str, params: dict | None = None, seed: int = 1, weighted: bool = False, calibrated: bool = True) -> Model:
     """One model on one training set, in one partition so that bootstraps don't depend on the layout."""
     rows = train
     if weighted:
@@ -67,7 +69,7 @@ def fit(train: DataFrame, learner: str, params: dict | None = None, seed: int =
     rows = _vectors(rows).orderBy("a", "b").coalesce(1).cache()
     fitted = estimator(learner, params or GRIDS[learner][0], weighted, seed).fit(rows)
     sigmoid = None
-    if learner == "svm":
+    if learner == "svm" and calibrated:
         margins = fitted.transform(rows).withColumn("margin", vector_to_array("rawPrediction")[1]).drop("rawPrediction", "prediction", "x")
         lr = LogisticRegression(featuresCol="x", labelCol="label", maxIter=50, **({"weightCol": "weight"} if weighted else {})).fit(VectorAssembler(inputCols=["margin"], outputCol="x").transform(margins))
         sigmoid = (float(lr.coefficients[0]), float(lr.intercept))
@@ -81,20 +83,33 @@ def balanced_of(pred: DataFrame, cut: float = 0.5) -> float:
     return sum(x["right"] for x in r) / max(1, len(r))
 
 
-def tune(train: DataFrame, learner: str, grid: list[dict] | None = None, folds: int = 5, seed: int = 1) -> tuple[dict, list[tuple[dict, float]]]:
-    """The grid point of the best mean balanced accuracy over the folds, and every point's mean."""
+#: Fits that run beside each other; each is a few small jobs that leave most of a cluster idle.
+FITS_AT_ONCE = 6
+
+
+def tune(train: DataFrame, learner: str, grid: list[dict] | None = None, folds: int = 5, seed: int = 1, weighted: bool = False) -> tuple[dict, list[tuple[dict, float]]]:
+    """The grid point of the best mean balanced accuracy over the folds, and every point's mean.
+
+    ``weighted`` fits the folds with class weights, as the final model is.
+    """
     grid = grid or GRIDS[learner]
     if len(grid) == 1:
         return grid[0], []
     dealt = resample.folds(train, folds).cache()
-    scores = []
-    for params in grid:
-        got = []
-        for k in range(folds):
-            model = fit(dealt.where(F.col("fold") != k), learner, params, seed)
-            got.append(balanced_of(model.prob(_vectors(dealt.where(F.col("fold") == k)), "prob")))
-        scores.append((params, sum(got) / folds))
+    dealt.count()
+
+    def score(task: tuple[int, int]) -> float:
+        point, k = task
+        model = fit(dealt.where(F.col("fold") != k).drop("fold"), learner, grid[point], seed, weighted, calibrated=False)
+        # the class a fold model decides needs no probability
+        said = model.fitted.transform(_vectors(dealt.where(F.col("fold") == k)))
+        return balanced_of(said.select("label", F.col("prediction").alias("prob")))
+
+    tasks = [(point, k) for point in range(len(grid)) for k in range(folds)]
+    with ThreadPoolExecutor(FITS_AT_ONCE) as pool:
+        got = list(pool.map(score, tasks))
     dealt.unpersist()
+    scores = [(params, sum(got[i * folds : (i + 1) * folds]) / folds) for i, params in enumerate(grid)]
     return max(scores, key=lambda s: s[1])[0], scores
 
 
@@ -118,7 +133,7 @@ class Ensemble:
 
 def fit_plain(train: DataFrame, learner: str, grid: list[dict] | None = None, folds: int = 5) -> Ensemble:
     """Without resampling; the SVM carries class weights."""
-    params, _ = tune(train, learner, grid, folds)
+    params, _ = tune(train, learner, grid, folds, weighted=learner == "svm")
     return Ensemble([fit(train, learner, params, weighted=learner == "svm")])
 
 

@@ -12,13 +12,39 @@ from conflate.schema import POI
 GEOMETRIES = ("Point", "MultiPoint", "LineString", "MultiLineString", "Polygon", "MultiPolygon")
 
 
-def to_poi(df: DataFrame, mapping: dict[str, Column]) -> DataFrame:
+#: Each source's own field names, by the common name; a list field of the sources in ``JOINED`` is one text.
+OWN_FIELDS = {
+    "authority_map": {"uid": "OBJECT_ID", "name": "NAME", "address": "ADDRESS_TEXT", "place_type": "LAND_USE", "tags": "REMARKS", "lat": "Y", "lon": "X", "extraction_date": "FETCHED"},
+    "authority_registry": {"uid": "reg_no", "name": "entity_name", "address": "reg_street_address", "place_type": "activity", "tags": "notes", "lat": "latitude", "lon": "longitude", "extraction_date": "as_of"},
+    "social_places": {"uid": "place_id", "name": "title", "address": "vicinity", "place_type": "categories", "tags": "labels", "lat": "geo_lat", "lon": "geo_lng", "extraction_date": "crawled_on"},
+    "commercial_map": {"uid": "poi_ref", "name": "displayName", "address": "addressLine", "place_type": "classification", "tags": "keywords", "lat": "position_lat", "lon": "position_lon", "extraction_date": "retrieved"},
+    "open_map": {"uid": "element_id", "name": "tag_name", "address": "tag_addr", "place_type": "tag_kind", "tags": "tag_other", "lat": "node_lat", "lon": "node_lon", "extraction_date": "snapshot"},
+}
+JOINED = ("authority_map", "authority_registry")
+
+
+def own_names(df: DataFrame, role: str) -> DataFrame:
+    """Rows in the common names, put under a source's own ones (the reverse of ``conform``)."""
+    fields = OWN_FIELDS[role]
+    if role in JOINED:
+        df = df.withColumns({c: F.array_join(c, ";") for c in ("place_type", "tags")})
+    return df.drop("src").withColumnsRenamed(fields)
+
+
+def conform(df: DataFrame, role: str) -> DataFrame:
+    """A source's table under the common names, with the source's role; its other columns stay as they are."""
+    out = df.withColumnsRenamed({own: common for common, own in OWN_FIELDS[role].items()}).withColumn("src", F.lit(role))
+    if role in JOINED:
+        out = out.withColumns({c: F.filter(F.split(c, ";"), lambda x: x != "") for c in ("place_type", "tags")})
+    return out
+
+
+def to_poi(df: DataFrame, mapping: dict[str, Column], used: list[str]) -> DataFrame:
     """One source in the common schema.
 
-    ``mapping`` gives expressions for schema fields by name; missing fields are null, every field is cast with a
-    null for what can't be, and unmapped input columns go to ``extras`` as strings.
+    ``mapping`` gives expressions for schema fields by name and ``used`` the columns they read; missing fields are
+    null, every field is cast with a null for what can't be, and unused columns go to ``extras`` as strings.
     """
-    used = {c for e in mapping.values() for c in df.columns if f"'{c}'" in str(e) or str(e) == f"Column<'{c}'>"}
     rest = [c for c in df.columns if c not in used]
     extras = F.map_from_arrays(F.array(*map(F.lit, rest)), F.array(*[F.col(c).cast("string") for c in rest])) if rest else F.lit(None)
     out = []
@@ -38,7 +64,7 @@ def standard(raw: DataFrame) -> DataFrame:
         "uid": F.col("uid"), "source": F.col("src"), "rank": F.col("rank"), "geometry": F.struct(F.lit("Point").alias("type"), F.col("lat").alias("lat"), F.col("lon").alias("lon")),
         "bounds": F.col("bounds"), "name": F.col("name"), "address": F.when(F.col("address").isNotNull(), address.parse(F.col("address"))),
         "place_types": F.col("place_type"), "source_types": F.col("place_type"), "tags": F.col("tags"), "extraction_date": F.col("extraction_date"), "requires_verification": F.col("requires_verification"),
-    })
+    }, ["uid", "src", "rank", "lat", "lon", "bounds", "name", "address", "place_type", "tags", "extraction_date", "requires_verification"])
 
 
 def to_geojson(df: DataFrame) -> DataFrame:

@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from conflate.functions.similarity import cosine
+from conflate.plans.tables import broadcast_if_small
 
 TAU = 0.95
 DIM = 64
@@ -62,7 +63,7 @@ def map_labels(labels: DataFrame, taxonomy: DataFrame, vectors: DataFrame, tau:
     parts = labels.select("label").distinct().select("label", F.explode(components(F.col("label"))).alias("part"))
     left = parts.join(vectors.select(F.col("term").alias("part"), F.col("vec").alias("va")), "part")
     right = taxonomy.select("term").join(vectors, "term").select("term", F.col("vec").alias("vb"))
-    scored = left.crossJoin(F.broadcast(right)).withColumn("score", F.round(cosine(F.col("va"), F.col("vb")), 6)).where(F.col("score") >= tau)
+    scored = left.crossJoin(broadcast_if_small(right)).withColumn("score", F.round(cosine(F.col("va"), F.col("vb")), 6)).where(F.col("score") >= tau)
     return scored.groupBy("label", "term").agg(F.max("score").alias("score"))
 
 
@@ -71,7 +72,7 @@ def map_types(places: DataFrame, taxonomy: DataFrame, vectors: DataFrame, tau: f
     taxonomy's own source is left as it is."""
     one = places.select("uid", "src", F.explode_outer("place_type").alias("label"))
     found = map_labels(one.where(F.col("src") != default_source).select("label"), taxonomy, vectors, tau).groupBy("label").agg(F.array_sort(F.collect_set("term")).alias("terms"))
-    j = one.join(F.broadcast(found), "label", "left")
+    j = one.join(broadcast_if_small(found), "label", "left")
     types = F.when((F.col("src") == default_source) | F.col("terms").isNull(), F.array(F.lower("label"))).otherwise(F.col("terms"))
     missing = (F.col("src") != default_source) & F.col("terms").isNull()
     return j.groupBy("uid").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list(F.when(F.col("label").isNotNull(), types))))).alias("place_types"), F.bool_or(missing).alias("requires_verification"))

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from conflate.plans.tables import broadcast_if_small
+
 UNMAPPED, UNTYPED = "place type not mapped", "no place type"
 
 
@@ -20,7 +22,7 @@ def queue(df: DataFrame) -> DataFrame:
 
 def apply_overrides(df: DataFrame, overrides: DataFrame) -> DataFrame:
     """overrides (label, types): a person's decision for a label; rows whose labels are all resolved lose the flag."""
-    table = F.broadcast(overrides.select(F.col("label"), F.col("types")))
+    table = broadcast_if_small(overrides.select(F.col("label"), F.col("types")))
     one = df.select("poi_id", F.explode_outer("place_type").alias("label")).join(table, "label", "left")
     merged = one.groupBy("poi_id").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list(F.coalesce("types", F.when(F.col("label").isNotNull(), F.array("label"))))))).alias("new_types"), F.bool_or(F.col("types").isNotNull()).alias("touched"))
     return df.join(merged, "poi_id").withColumn("requires_verification", F.col("requires_verification") & ~F.col("touched")).withColumn("place_type", F.col("new_types")).drop("new_types", "touched")

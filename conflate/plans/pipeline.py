@@ -4,9 +4,12 @@ from __future__ import annotations
 
 from typing import Protocol
 
+from functools import reduce
+
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from conflate.operators import candidates, cluster, features, procure, unify, wsa
+from conflate.operators import candidates, cluster, features, procure, taxonomy, unify, verify, wsa
 from conflate.plans.tables import materialise
 
 
@@ -44,3 +47,25 @@ def conflate(places: DataFrame, decided: DataFrame, how: str = "any", group: str
 def run(raw: DataFrame, method: str = "hybrid") -> DataFrame:
     places = procure.dedup(raw)
     return conflate(places, match(places, method))[1]
+
+
+def typed(places: DataFrame, terms: DataFrame) -> DataFrame:
+    """``places`` with place types mapped to the default taxonomy and the flag of those that didn't map."""
+    terms = materialise(terms, "taxonomy")
+    labels = places.where("src <> 'social_places'").select(F.explode("place_type").alias("label")).distinct()
+    words = labels.select(F.explode(taxonomy.components(F.col("label"))).alias("term")).union(terms).distinct()
+    vectors = materialise(taxonomy.ngram_vectors(words), "vectors")
+    mapped = taxonomy.map_types(places, terms, vectors).select("uid", F.col("place_types").alias("place_type"), "requires_verification")
+    return places.drop("place_type", "requires_verification").join(mapped, "uid")
+
+
+def six_steps(sources: list[DataFrame], terms: DataFrame, overrides: DataFrame, params: tuple[float, float, float], method: str = "hybrid") -> DataFrame:
+    """Unified places from the sources' rows in the common schema: clean, map types, match, unify, verify.
+
+    ``open_after_review`` marks the flagged places that the overrides leave open; ``place_type`` has the overrides.
+    """
+    cleaned = materialise(procure.dedup(reduce(DataFrame.unionByName, sources)), "places")
+    places = materialise(typed(cleaned, terms), "typed")
+    unified = materialise(conflate(places, match(places, method, params=params))[1], "unified")
+    reviewed = verify.apply_overrides(unified, overrides).select("poi_id", F.col("place_type").alias("reviewed"), F.col("requires_verification").alias("open_after_review"))
+    return unified.join(reviewed, "poi_id").withColumn("place_type", F.col("reviewed")).drop("reviewed")

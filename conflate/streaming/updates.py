@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from conflate.operators.resample import hash32
+from conflate.plans.tables import broadcast_if_small
 
 #: What an event type does to its place.
 KINDS = {"signup": "add", "click": "rename", "view": "observe", "purchase": "move", "error": "remove"}
@@ -77,8 +78,8 @@ def latest_stateful(updates: DataFrame) -> DataFrame:
 
 
 def visits_with_places(visit_stream: DataFrame, places: DataFrame) -> DataFrame:
-    """Stream-static join: each visit with its place's row."""
-    return visit_stream.join(F.broadcast(places), "place")
+    """Stream-static join: each visit with its place's row; the places are broadcast only behind a count."""
+    return visit_stream.join(broadcast_if_small(places), "place")
 
 
 def moves_after_visits(updates: DataFrame, visit_stream: DataFrame, within: str = "6 hours") -> DataFrame:
