@@ -76,6 +76,12 @@ def without(docs: DataFrame, gone: DataFrame, once: DataFrame | None = None) ->
     return kept.select(*docs.columns)
 
 
+def keep_decided(docs: DataFrame, decided: DataFrame) -> DataFrame:
+    """``docs`` less the rows that ``decided``, (doc_id, th, kept) for each row in a group, doesn't keep."""
+    by_key = materialise(decided.groupBy("doc_id", "th").agg(F.bool_or("kept").alias("kept"), F.count("*").alias("n")).where("not kept or n > 1"), "decided")
+    return without(docs, by_key.where("not kept").select("doc_id", "th"), by_key.where("kept and n > 1").select("doc_id", "th"))
+
+
 def apply_per_row(docs: DataFrame, decided: DataFrame, value: str) -> DataFrame:
     """``docs`` with the column ``value`` of ``decided``, (row, doc_id, th, value) for every row of ``docs``.
 

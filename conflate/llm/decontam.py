@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from conflate.llm.common import small_batches
+from conflate.llm.common import small_batches, text_key
 from conflate.llm.textkit import ALNUM, Words, mix, pieces
 from conflate.plans.tables import broadcast_if_small, materialise
 
@@ -193,6 +193,9 @@ def matches(docs: DataFrame, benchmark: DataFrame, words: int = WORDS, least: fl
 
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
-    """``docs`` without the documents that hold a benchmark item; all columns kept."""
-    bad = materialise(matches(docs, benchmark, **options).select("doc_id").distinct(), "leaks")
-    return docs.join(broadcast_if_small(bad), "doc_id", "left_anti")
+    """``docs`` without the rows that hold a benchmark item; all columns kept.  Rows are judged by their text, so a
+    null or shared doc_id takes no other row with it."""
+    hashed = docs.select(text_key(F.col("text")).alias("doc_id"), "text")
+    bad = materialise(matches(hashed, benchmark, **options).select(F.col("doc_id").alias("__th")).distinct(), "leaks")
+    keyed = docs.withColumn("__th", text_key(F.col("text")))
+    return keyed.join(broadcast_if_small(bad), "__th", "left_anti").select(*docs.columns)

@@ -63,8 +63,8 @@ QUERIES = {"op1_language_profiles": op1_language_profiles, "op2_probability_minh
 ORACLES = {
     "op9_progressive_dedup": r"""
 WITH t AS (SELECT doc_id, length(coalesce(text, '')) AS n, sha256(regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]+', '', 'g')) AS h FROM documents),
-g AS (SELECT doc_id, h, count(*) OVER (PARTITION BY h) AS group_size, first_value(doc_id) OVER (PARTITION BY h ORDER BY n DESC, doc_id NULLS LAST) AS keep_id FROM t)
-SELECT doc_id, keep_id, group_size, doc_id IS NOT DISTINCT FROM keep_id AS kept, h AS text_sha256 FROM g""",
+g AS (SELECT doc_id, h, count(*) OVER (PARTITION BY h) AS group_size, first_value(doc_id) OVER w AS keep_id, row_number() OVER w AS k FROM t WINDOW w AS (PARTITION BY h ORDER BY n DESC, doc_id NULLS LAST))
+SELECT doc_id, keep_id, group_size, k = 1 AS kept, h AS text_sha256 FROM g""",
     "op10_host_path_trie": r"""
 WITH u AS (SELECT page_id, coalesce(regexp_extract(url, '^.*?://([^/?#]*)', 1), '') AS h, coalesce(regexp_extract(url, '^.*?://[^/?#]*([^?#]*)', 1), '') AS path FROM pages),
 v AS (SELECT page_id, translate(h, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, path FROM u),
