@@ -11,8 +11,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from conflate.llm import decontam, exact, langid, probminhash, sampling
-from conflate.llm.common import for_learning, table
-from conflate.plans.tables import materialise
+from conflate.llm.common import for_learning, table, text_key
+from conflate.plans.tables import broadcast_if_small, materialise
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
@@ -20,9 +20,12 @@ COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps the documents whose text has a language; profiles are learned from the rows for learning."""
     profiles = langid.learn(docs.where(for_learning(F.col("doc_id"))).select("doc_id", "text", "lang"))
-    rejected = langid.predict(docs, profiles).where(~langid.accepted(F.col("lang_pred")))
-    bad = materialise(rejected.select("doc_id").distinct(), "rejected")
-    return docs.join(bad, docs["doc_id"].eqNullSafe(bad["doc_id"]), "left_anti").select(*COLUMNS) if bad.take(1) else docs.select(*COLUMNS)
+    # judged by text, so that a null or shared doc_id takes no other row with it
+    hashed = docs.select(text_key(F.col("text")).alias("doc_id"), "text")
+    rejected = langid.predict(hashed, profiles).where(~langid.accepted(F.col("lang_pred")))
+    bad = materialise(rejected.select(F.col("doc_id").alias("__th")).distinct(), "rejected")
+    keyed = docs.withColumn("__th", text_key(F.col("text")))
+    return keyed.join(broadcast_if_small(bad), "__th", "left_anti").select(*COLUMNS)
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
