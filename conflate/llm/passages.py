@@ -8,14 +8,20 @@ form a run of at most size - GRAM + 1 windows.
 1. Anchors are counted over all documents; those that occur once are done.
 2. Under the others, equal runs confirm all their windows at once.  Where an anchor also has runs that differ,
    as at the ends of a shared passage, the windows of one copy of each such run are counted one by one.
-3. Confirmed passages go back to the documents that hold them.  Each piece of a partition compiles its share of
-   the confirmed phrases into an Aho-Corasick automaton, its documents are streamed through it, and each
-   occurrence found is checked against the 64-bit hashes before its windows' words are marked.
+3. Each stretch of confirmed windows of a run is a passage, read as a word sequence from one document.
+4. A document's least confirmed anchor names its shard, so that copies meet in one shard; a shard's dictionary is
+   every passage that one of its documents may hold.  Shards have about ``PASSAGES`` passages, and a shard of many
+   documents is dealt to several tasks with the dictionary in each.
+5. Every task reads its shards one after the other: it compiles the dictionary into an Aho-Corasick automaton whose
+   letters are words, streams the shard's documents through it, and removes the words of every occurrence found.
+   Nothing else tells it where a passage stands; a 64-bit hash of the words confirms each occurrence.  Documents
+   without a confirmed anchor can't hold a passage and only have their words counted.
 
 No step gathers a group of equal passages in one place: counts combine on the map side, and what is carried
 back is one small row per run of a document.  Defined results: null and empty texts have no words; texts under
-``size`` words lose nothing; repeated rows (and repeated doc_ids) are separate occurrences; overlapping windows
-of one document count as different starts, so long repetitions within one text are removed too.
+``size`` words lose nothing; repeated rows (and repeated or null doc_ids) are separate occurrences; overlapping
+windows of one document count as different starts, so long repetitions within one text are removed too; an empty
+table gives no rows; extra columns are not read.
 """
 
 from __future__ import annotations
@@ -29,14 +35,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from conflate.llm.common import small_batches
-from conflate.llm.textkit import BLANK_SPLIT, Words, mix, pieces, ranges, signed
+from conflate.llm.common import small_batches, text_key
+from conflate.llm.textkit import _STEP, _STEP_INV, BLANK_SPLIT, Words, _power, mix, pieces, ranges, signed
 from conflate.plans.tables import broadcast_if_small, discard, materialise
 
 SIZE = 35
 GRAM = 12
 #: Rows of one or two longs up to which a side is broadcast.
 NARROW_ROWS = 1_000_000
+#: Passages of one automaton, about, and documents of one task of a shard at most.
+PASSAGES = 10_000
+DOCUMENTS = 2_000
 _U = np.uint64
 
 
@@ -106,74 +115,154 @@ def _windows(size: int, gram: int):
     return run
 
 
-def _letters(w: Words, i: int, j: int) -> str:
-    """Words i to j - 1 as one character each, by hash; the surrogates' range is left out."""
-    c = (w.hash[i:j] >> _U(20)) % _U(0x10F000) + _U(0x20)
-    c = np.where(c >= 0xD800, c + _U(0x800), c).astype(np.uint32)
-    return c.tobytes().decode("utf-32-le")
+def letters(w: Words) -> np.ndarray:
+    """A 16-bit character for each word, by hash: below the surrogates, above the controls."""
+    return ((w.hash >> _U(40)) % _U(0xD7E0) + _U(0x20)).astype(np.uint16)
 
 
-def covered(w: Words, r: Runs, asked: list, size: int, gram: int) -> np.ndarray:
-    """Which words lie in a confirmed window.  asked[d]: (run, mask) pairs of document d."""
+class Sequences:
+    """64-bit hashes of any word sequences of one piece."""
+
+    def __init__(self, w: Words):
+        n = len(w.hash)
+        self.total = np.zeros(n + 1, _U)
+        np.cumsum(w.hash * _power("word", _STEP, n), out=self.total[1:])
+        self.inv = _power("word_inv", _STEP_INV, n + 1)
+
+    def hash(self, at: np.ndarray, size: np.ndarray) -> np.ndarray:
+        return mix((self.total[at + size] - self.total[at]) * self.inv[at] + size.astype(_U))
+
+
+def stretches(mask: int, n: int) -> list[tuple[int, int]]:
+    """(first, windows) of the runs of set bits among n; -1 stands for all."""
+    if mask == -1:
+        return [(0, n)]
+    out, k = [], 0
+    while k < n:
+        if mask >> k & 1:
+            first = k
+            while k < n and mask >> k & 1:
+                k += 1
+            out.append((first, k - first))
+        k += 1
+    return out
+
+
+def _passages(size: int, gram: int):
+    """(run, phrase, check) of the confirmed stretches of the runs asked for: two bytes a word, and the words' hash."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for lo, hi in pieces(b.column(0)):
+                w = Words(b.column(0).slice(lo, hi - lo))
+                r, code, sequences = Runs(w, size, gram), letters(w), Sequences(w)
+                ids = signed(r.id)
+                first_of = {(d, i): k for k, (d, i) in reversed(list(enumerate(zip(r.doc.tolist(), ids.tolist()))))}
+                names, at, length = [], [], []
+                for d, asked in enumerate(b.column(1).slice(lo, hi - lo).to_pylist()):
+                    for a in asked:
+                        k = first_of.get((d, a["run"]))
+                        if k is None:
+                            continue
+                        for first, n in stretches(a["mask"], int(r.count[k])):
+                            names.append(a["run"])
+                            at.append(int(r.at[r.first[k] + first]))
+                            length.append(n + size - 1)
+                at, length = np.array(at, np.int64), np.array(length, np.int64)
+                phrases = [code[i : i + n].tobytes() for i, n in zip(at.tolist(), length.tolist())]
+                yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array(phrases, pa.binary()), pa.array(signed(sequences.hash(at, length)))], ["run", "phrase", "check"])
+
+    return run
+
+
+def automaton_of(phrases: list[bytes]) -> ahocorasick.Automaton | None:
+    """The automaton that finds the phrases' ends; an occurrence carries the phrase's place in the list."""
+    if not phrases:
+        return None
+    made = ahocorasick.Automaton()
+    for i, p in enumerate(phrases):
+        made.add_word(p.decode("utf-16-le"), i)
+    made.make_automaton()
+    return made
+
+
+def covered(w: Words, automaton: ahocorasick.Automaton | None, sizes: np.ndarray, checks: np.ndarray) -> np.ndarray:
+    """Which words lie in a passage that the automaton finds."""
     hit = np.zeros(len(w.hash) + 1, np.int64)
-    by_doc = {d: {s["run"]: s["mask"] for s in a} for d, a in enumerate(asked) if a}
-    if not by_doc:
-        return hit[:-1] > 0
-    # this piece's share of the confirmed phrases, each spelled from its first occurrence
-    run_of, automaton = {int(p): i for i, p in enumerate(r.anchor_at[r.first])}, ahocorasick.Automaton()
-    ids = signed(r.id)
-    for i in np.flatnonzero(np.isin(r.doc, list(by_doc))):
-        if int(ids[i]) in by_doc[int(r.doc[i])]:
-            p = int(r.anchor_at[r.first[i]])
-            automaton.add_word(_letters(w, p, p + gram), True)
-    if not len(automaton):
-        return hit[:-1] > 0
-    automaton.make_automaton()
-    for d, masks in by_doc.items():
-        a, z = int(w.first[d]), int(w.first[d + 1])
-        for end, _ in automaton.iter(_letters(w, a, z)):
-            i = run_of.get(a + end - gram + 1)
-            mask = masks.get(int(ids[i])) if i is not None else None
-            if mask:
-                f, n = int(r.first[i]), int(r.count[i])
-                if mask == -1:
-                    hit[r.at[f]] += 1
-                    hit[r.at[f + n - 1] + size] -= 1
-                else:
-                    for k in range(n):
-                        if mask >> k & 1:
-                            hit[r.at[f + k]] += 1
-                            hit[r.at[f + k] + size] -= 1
+    if automaton is not None and len(w.hash):
+        code, ends, which = letters(w), [], []
+        for d in range(w.n_docs):
+            a, z = int(w.first[d]), int(w.first[d + 1])
+            for end, i in automaton.iter(code[a:z].tobytes().decode("utf-16-le")):
+                ends.append(a + end + 1)
+                which.append(i)
+        which = np.array(which, np.int64)
+        at = np.array(ends, np.int64) - sizes[which]
+        true = Sequences(w).hash(at, sizes[which]) == checks[which]
+        np.add.at(hit, at[true], 1)
+        np.subtract.at(hit, (at + sizes[which])[true], 1)
     return np.cumsum(hit[:-1]) > 0
 
 
-def _apply(size: int, gram: int, texts: bool):
+def _kept(ids: pa.Array, col: pa.Array, automaton, sizes: np.ndarray, checks: np.ndarray, texts: bool) -> Iterator[pa.RecordBatch]:
+    for lo, hi in pieces(col):
+        w = Words(col.slice(lo, hi - lo), BLANK_SPLIT)
+        gone = covered(w, automaton, sizes, checks)
+        lost = np.add.reduceat(np.append(gone, 0).astype(np.int64), w.first[:-1]) if len(w.first) > 1 else np.zeros(0, np.int64)
+        lost[w.counts() == 0] = 0
+        buf, kept = w.data.tobytes(), []
+        for d in range(hi - lo):
+            i, j = w.first[d], w.first[d + 1]
+            keep = np.flatnonzero(~gone[i:j]) + i
+            kept.append(b" ".join([buf[s:e] for s, e in zip(w.start[keep].tolist(), w.end[keep].tolist())]))
+        result = pa.array([k.decode() for k in kept], pa.string()) if texts else pa.array([hashlib.sha256(k).hexdigest() for k in kept], pa.string())
+        yield pa.RecordBatch.from_arrays([ids.slice(lo, hi - lo), pa.array(w.counts()), pa.array(lost), result], ["doc_id", "n_words", "n_removed", "kept"])
+
+
+_NONE = np.zeros(0, np.int64), np.zeros(0, _U)
+
+
+def _count(texts: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for lo, hi in pieces(b.column(1)):
-                w = Words(b.column(1).slice(lo, hi - lo), BLANK_SPLIT)
-                asked = b.column(2).slice(lo, hi - lo).to_pylist()
-                gone = covered(w, Runs(w, size, gram), asked, size, gram)
-                lost = np.add.reduceat(np.append(gone, 0).astype(np.int64), w.first[:-1]) if len(w.first) > 1 else np.zeros(0, np.int64)
-                lost[w.counts() == 0] = 0
-                buf, kept = w.data.tobytes(), []
-                for d in range(hi - lo):
-                    i, j = w.first[d], w.first[d + 1]
-                    keep = np.flatnonzero(~gone[i:j]) + i
-                    kept.append(b" ".join([buf[s:e] for s, e in zip(w.start[keep].tolist(), w.end[keep].tolist())]))
-                result = pa.array([k.decode() for k in kept], pa.string()) if texts else pa.array([hashlib.sha256(k).hexdigest() for k in kept], pa.string())
-                yield pa.RecordBatch.from_arrays([b.column(0).slice(lo, hi - lo), pa.array(w.counts()), pa.array(lost), result], ["doc_id", "n_words", "n_removed", "kept"])
+            yield from _kept(b.column(0), b.column(1), None, *_NONE, texts)
 
     return run
 
 
-def confirmed(docs: DataFrame, size: int = SIZE, gram: int = GRAM) -> DataFrame:
-    """(key, runs array<struct<run, mask>>): the confirmed windows of each document that has some."""
-    rows = docs.select(F.xxhash64("doc_id", "text").alias("key"), "text")
+def _stream(texts: bool):
+    """Rows (shard, part, phrase, check, doc_id, text), a shard's phrases before its documents."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, phrases, checks, automaton, sizes = None, [], [], None, None
+        for b in batches:
+            shard, part, document = b.column(0).to_numpy(), b.column(1).to_numpy(), np.asarray(b.column(2).is_null())
+            change = np.flatnonzero((shard[1:] != shard[:-1]) | (part[1:] != part[:-1]) | (document[1:] != document[:-1])) + 1
+            for lo, hi in zip([0, *change.tolist()], [*change.tolist(), b.num_rows]):
+                if lo == hi:
+                    continue
+                if now != (shard[lo], part[lo]):
+                    now, phrases, checks, automaton, sizes = (shard[lo], part[lo]), [], [], None, None
+                rows = b.slice(lo, hi - lo)
+                if not document[lo]:
+                    phrases += rows.column(2).to_pylist()
+                    checks += rows.column(3).to_pylist()
+                    continue
+                if sizes is None:
+                    automaton, sizes = automaton_of(phrases), np.array([len(p) // 2 for p in phrases], np.int64)
+                    known = np.array(checks, np.int64).view(_U)
+                yield from _kept(rows.column(4), rows.column(5), automaton, sizes, known, texts)
+
+    return run
+
+
+def confirmed(docs: DataFrame, size: int = SIZE, gram: int = GRAM) -> tuple[DataFrame, DataFrame]:
+    """(key, anchor, run) of the runs with a confirmed window, by the text's hash; (run, mask, key of one text)."""
+    rows = docs.select(text_key(F.col("text")).alias("key"), "text")
     often = rows.select("text").mapInArrow(_anchors(size, gram), "anchor long, n long").groupBy("anchor").agg(F.sum("n").alias("n")).where("n > 1").select("anchor")
     often = materialise(often, "anchors")
     held = rows.mapInArrow(_runs(size, gram), "key long, anchor long, run long")
-    held = materialise(held.join(broadcast_if_small(often, limit=NARROW_ROWS), "anchor"), "runs")
+    held = materialise(held.join(broadcast_if_small(often, limit=NARROW_ROWS), "anchor").select("key", "anchor", "run"), "runs")
     discard(often)
     distinct = materialise(held.groupBy("anchor", "run").agg(F.count("*").alias("n"), F.min("key").alias("key")), "distinct")
     # anchors with a run of one occurrence: there single windows count, else whole runs decide
@@ -181,24 +270,44 @@ def confirmed(docs: DataFrame, size: int = SIZE, gram: int = GRAM) -> DataFrame:
     # two starts under one anchor in one document may be equal windows too: such anchors are in `split` or equal runs
     single = materialise(distinct.join(split, "anchor", "left_semi"), "single")
     asked = single.groupBy("key").agg(F.collect_list("run").alias("asked"))
-    keyed = docs.select(F.xxhash64("doc_id", "text").alias("key"), "text")
-    text_once = keyed.join(broadcast_if_small(asked, limit=NARROW_ROWS // 10), "key").select("text", "asked")
+    text_once = rows.join(asked, "key").select("text", "asked")
     seen = text_once.mapInArrow(_windows(size, gram), "run long, place int, window long").join(single.select("run", "n"), "run")
-    # a document that stands twice under one key gives its windows twice: count each (run, place) once
-    seen = materialise(seen, "windows")
-    per_window = seen.distinct()
-    many = per_window.groupBy("window").agg(F.sum("n").alias("all")).where("all > 1").select("window")
-    partial = per_window.join(many, "window", "left_semi").groupBy("run").agg(F.bit_or(F.expr("shiftleft(1L, place)")).alias("mask"))
+    # a text that stands in several rows gives its windows as often: count each (run, place) once
+    seen = materialise(seen.distinct(), "windows")
+    many = seen.groupBy("window").agg(F.sum("n").alias("all")).where("all > 1").select("window")
+    partial = seen.join(many, "window", "left_semi").groupBy("run").agg(F.bit_or(F.expr("shiftleft(1L, place)")).alias("mask"))
     whole = distinct.where("n > 1").select("run", F.lit(-1).cast("long").alias("mask"))
     masks = whole.unionByName(partial).groupBy("run").agg(F.min("mask").alias("mask"))
-    out = held.select("key", "run").distinct().join(masks, "run").groupBy("key").agg(F.collect_list(F.struct("run", "mask")).alias("runs"))
-    return out
+    masks = materialise(masks.join(distinct.groupBy("run").agg(F.min("key").alias("key")), "run"), "masks")
+    out = materialise(held.distinct().join(masks.select("run"), "run").select("key", "anchor", "run"), "held")
+    for done in (held, distinct, single, seen):
+        discard(done)
+    return out, masks
 
 
 def remove(docs: DataFrame, size: int = SIZE, gram: int = GRAM, texts: bool = True) -> DataFrame:
     """doc_id, n_words, n_removed and the kept words joined by blanks (``kept``), or their sha256 without ``texts``."""
     small_batches(docs.sparkSession)
-    found = confirmed(docs, size, gram)
-    rows = docs.select("doc_id", "text", F.xxhash64("doc_id", "text").alias("key")).join(found, "key", "left").select("doc_id", "text", "runs")
+    held, masks = confirmed(docs, size, gram)
+    asked = masks.groupBy("key").agg(F.collect_list(F.struct("run", "mask")).alias("asked"))
+    rows = docs.select("doc_id", "text", text_key(F.col("text")).alias("key"))
+    once = rows.select("key", "text").join(asked, "key").dropDuplicates(["key"]).select("text", "asked")
+    phrases = materialise(once.mapInArrow(_passages(size, gram), "run long, phrase binary, check long"), "passages")
+    home = materialise(held.groupBy("key").agg(F.min("anchor").alias("home")), "homes")
+    needs = materialise(held.join(home, "key").select("home", "run").distinct(), "needs")
+    discard(held)
+    shards = max(1, needs.count() // PASSAGES)
+    shard = F.pmod(F.xxhash64("home"), F.lit(shards)).alias("shard")
+    sizes = rows.select("key").join(home, "key").select(shard).groupBy("shard").agg(F.count("*").alias("documents"))
+    parts = materialise(sizes.select("shard", F.ceil(F.col("documents") / F.lit(DOCUMENTS)).cast("int").alias("parts")), "parts")
+    dictionary = needs.select(shard, "run").distinct().join(phrases, "run").select("shard", "phrase", "check").distinct().join(parts, "shard")
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return rows.mapInArrow(_apply(size, gram, texts), f"doc_id {kind}, n_words long, n_removed long, kept string")
+    dictionary = dictionary.select("shard", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), "phrase", "check", F.lit(None).cast(kind).alias("doc_id"), F.lit(None).cast("string").alias("text"))
+    homed = rows.join(home, "key").select(shard, "doc_id", "text").join(broadcast_if_small(parts), "shard")
+    homed = homed.select("shard", F.pmod(F.monotonically_increasing_id(), F.col("parts")).cast("int").alias("part"), F.lit(None).cast("binary").alias("phrase"), F.lit(None).cast("long").alias("check"), "doc_id", "text")
+    # a null phrase is a document, and comes after the phrases
+    dealt = dictionary.unionByName(homed).repartition("shard", "part").sortWithinPartitions("shard", "part", F.col("phrase").isNull())
+    out = f"doc_id {kind}, n_words long, n_removed long, kept string"
+    found = dealt.mapInArrow(_stream(texts), out)
+    others = rows.join(broadcast_if_small(home.select("key"), limit=NARROW_ROWS), "key", "left_anti").select("doc_id", "text")
+    return found.unionByName(others.mapInArrow(_count(texts), out))
