@@ -2,14 +2,15 @@
 
 Texts and items are lower-cased words of letters and digits; their elements are runs of five words, weighted by
 count (an item or text under five words is one element).  A window has as many words as the item it is compared
-with (or is the whole text, where that is shorter).  Its SimHash is 64 bits over its elements.  The fingerprint
-is cut into ``RADIUS`` + 1 blocks; two fingerprints within the radius agree in one block at least, so block
-tables of the items' fingerprints miss none.  Each item so found is verified by the weighted Jaccard similarity
-of the elements, and the best window of each (document, item) at ``SIMILAR`` or more is returned.
+with (or is the whole text, where that is shorter).  Its SimHash is 64 bits over its elements.  Fingerprints are cut
+into ``BLOCKS`` blocks; two that differ in ``RADIUS`` bits at most differ in RADIUS // BLOCKS bits at most in one
+block at least, so a table that lists, for every value of a block, the items within that many bits of it misses none
+of the radius.  The tables choose the items that a window is compared with; those within the radius are verified by
+the weighted Jaccard similarity of the elements, and the best window of each (document, item) at ``SIMILAR`` or more
+is returned.  At a similarity of 0.8 fingerprints differ in 9.7 bits on average with a deviation of 2.9, so about one
+such window in 2,000 lies outside the radius; neighbouring windows are further chances.
 
-A window is fingerprinted when its document shares enough elements with an item of that size for the similarity
-to be reached at all: s * (n + m) / (1 + s) of the item's n elements, m being those of the window (all of a
-shorter text's).  Windows left out can't pass the verification.
+Every window of an item's size that shares any element with any item is fingerprinted; others have similarity 0.
 
 Items go to every task, ``ITEMS_AT_ONCE`` at a time; a longer list makes several passes.  Defined results: null
 and empty texts and items match nothing; repeated items are reported each; repeated documents are rows of
@@ -33,8 +34,9 @@ from conflate.plans.tables import broadcast_if_small, materialise
 
 WORDS = 5
 SIMILAR = 0.8
-RADIUS = 21
-ITEMS_AT_ONCE = 50_000
+RADIUS = 19
+BLOCKS = 5
+ITEMS_AT_ONCE = 4_000
 _U = np.uint64
 _BITS = np.arange(64, dtype=_U)
 
@@ -45,12 +47,31 @@ def fingerprint(h: np.ndarray) -> np.uint64:
     return np.bitwise_or.reduce(np.where(votes > 0, _U(1) << _BITS, _U(0)))
 
 
-def blocks(radius: int) -> list[tuple[int, int]]:
-    """(first bit, bits) of radius + 1 blocks of 64 bits."""
-    cuts = [64 * i // (radius + 1) for i in range(radius + 2)]
+def blocks() -> list[tuple[int, int]]:
+    """(first bit, bits) of the blocks of 64 bits."""
+    cuts = [64 * i // BLOCKS for i in range(BLOCKS + 1)]
     return [(a, b - a) for a, b in zip(cuts, cuts[1:])]
 
 
+class Lanes:
+    """Bit counts of any windows of a row of elements: several bits' running sums share one long."""
+
+    def __init__(self, h: np.ndarray, most: int):
+        self.width = 8 if most < 128 else 16 if most < 1 << 15 else 32
+        self.ones = _U(sum(1 << i for i in range(0, 64, self.width)))
+        mixed = mix(h)
+        self.sums = np.zeros((self.width, len(h) + 1), _U)
+        for j in range(self.width):
+            np.cumsum(mixed >> _U(j) & self.ones, out=self.sums[j, 1:])
+
+    def prints(self, start: np.ndarray, span: int) -> np.ndarray:
+        """Fingerprints of the windows of ``span`` elements: the bits that more than half of them have."""
+        room, top, out = _U((1 << self.width - 1) - 1 - span // 2) * self.ones, _U(self.width - 1), np.zeros(len(start), _U)
+        for j in range(self.width):
+            out |= (self.sums[j, start + span] - self.sums[j, start] + room >> top & self.ones) << _U(j)
+        return out
+
+
 def jaccard(a: np.ndarray, b: np.ndarray) -> float:
     """Weighted Jaccard of two bags."""
     ua, ca = np.unique(a, return_counts=True)
@@ -61,46 +82,68 @@ def jaccard(a: np.ndarray, b: np.ndarray) -> float:
     return float(shared / total) if total else 0.0
 
 
+class Near:
+    """Block tables over some items: a bit for each item within the block's share of the radius of a value."""
+
+    def __init__(self, prints: np.ndarray, radius: int):
+        self.prints, self.radius = prints, radius
+        self.tables = []
+        for first, bits in blocks():
+            value = np.arange(1 << bits, dtype=_U)
+            table = np.zeros((-(-len(prints) // 64), 1 << bits), _U)
+            for i, f in enumerate(prints):
+                near = np.bitwise_count(value ^ (f >> _U(first) & _U((1 << bits) - 1))) <= radius // BLOCKS
+                table[i // 64] |= near.astype(_U) << _U(i % 64)
+            self.tables.append((_U(first), _U((1 << bits) - 1), table))
+
+    def search(self, f: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+        """(item, places of the fingerprints within the radius of it) of the items that the tables name."""
+        for word in range(len(self.tables[0][2])):
+            found = np.zeros(len(f), _U)
+            for first, mask, table in self.tables:
+                found |= table[word][(f >> first & mask).astype(np.int64)]
+            some = int(np.bitwise_or.reduce(found)) if len(found) else 0
+            for i in range(64):
+                if some >> i & 1:
+                    at = np.flatnonzero(found >> _U(i) & _U(1))
+                    at = at[np.bitwise_count(f[at] ^ self.prints[word * 64 + i]) <= self.radius]
+                    if len(at):
+                        yield word * 64 + i, at
+
+
 @dataclass
 class Items:
-    """ids, elements and sizes of the items; filter: a bit for the low bits of each element's hash."""
+    """ids, words and elements of the items, their distinct elements and fingerprints."""
 
     ids: list
     size: np.ndarray
     bags: list[np.ndarray]
     prints: np.ndarray
     keys: np.ndarray
-    owners: list[np.ndarray]
-    tables: dict
 
     @classmethod
-    def build(cls, ids: list, texts: pa.Array, words: int, radius: int) -> "Items":
+    def build(cls, ids: list, texts: pa.Array, words: int) -> "Items":
         w = Words(texts, ALNUM, fold=True)
         d, h = w.shingles(words)
-        keep = [i for i in range(w.n_docs) if w.first[i + 1] > w.first[i]]
-        bags = [h[d == i] for i in keep]
+        keep = np.flatnonzero(w.counts() > 0)
+        first = np.searchsorted(d, np.arange(w.n_docs + 1))
+        bags = [h[first[i] : first[i + 1]] for i in keep]
         prints = np.array([fingerprint(b) for b in bags], _U) if bags else np.zeros(0, _U)
-        size = w.counts()[keep]
         keys = np.unique(np.concatenate(bags)) if bags else np.zeros(0, _U)
-        owners: list[list[int]] = [[] for _ in keys]
-        for i, b in enumerate(bags):
-            for k in np.unique(np.searchsorted(keys, b)):
-                owners[k].append(i)
-        tables: dict = {}
-        for i, f in enumerate(prints):
-            for n, (first, bits) in enumerate(blocks(radius)):
-                tables.setdefault((int(size[i]), n, int(f >> _U(first)) & ((1 << bits) - 1)), []).append(i)
-        return cls([ids[i] for i in keep], size, bags, prints, keys, [np.array(o) for o in owners], tables)
+        return cls([ids[i] for i in keep], w.counts()[keep], bags, prints, keys)
 
+    def by_span(self, words: int) -> list[tuple[int, np.ndarray]]:
+        """(elements of a window, items of that size) for items of ``words`` words or more."""
+        return [(int(n) - words + 1, np.flatnonzero(self.size == n)) for n in np.unique(self.size[self.size >= words])]
 
-def _search(sent, words: int, least: float, radius: int):
-    cut = blocks(radius)
 
+def _search(sent, words: int, least: float, radius: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         items: Items = sent.value
         sieve = np.zeros(1 << 22, bool)
         sieve[(items.keys & _U((1 << 22) - 1)).astype(np.int64)] = True
         shorter = sorted({int(s) for s in items.size if s < words})
+        spans = [(span, mine, Near(items.prints[mine], radius)) for span, mine in items.by_span(words)]
         for b in batches:
             for lo, hi in pieces(b.column(1)):
                 w = Words(b.column(1).slice(lo, hi - lo), ALNUM, fold=True)
@@ -109,9 +152,7 @@ def _search(sent, words: int, least: float, radius: int):
                 hit = np.flatnonzero(sieve[(h & _U((1 << 22) - 1)).astype(np.int64)])
                 if len(hit) and len(items.keys):
                     k = np.minimum(np.searchsorted(items.keys, h[hit]), len(items.keys) - 1)
-                    good = items.keys[k] == h[hit]
-                    hit, k = hit[good], k[good]
-                    found += _of_hits(items, w, at, h, hit, k, words, least, radius, cut)
+                    found += _windows(items, w, at, h, hit[items.keys[k] == h[hit]], spans, least)
                 if shorter or (w.counts() < words).any():
                     found += _short(items, w, words, shorter)
                 if found:
@@ -121,33 +162,41 @@ def _search(sent, words: int, least: float, radius: int):
     return run
 
 
-def _of_hits(items, w, at, h, hit, k, words, least, radius, cut) -> list:
-    docs = w.doc[at[hit]]
-    got: dict[tuple[int, int], list[int]] = {}
-    for d, p, owner in zip(docs.tolist(), hit.tolist(), k.tolist()):
-        for i in items.owners[owner]:
-            got.setdefault((d, int(i)), []).append(p)
+def _windows(items: Items, w: Words, at: np.ndarray, h: np.ndarray, hit: np.ndarray, spans: list, least: float) -> list:
+    """The best window of each document for each item, among the windows that hold an element of any item."""
+    if not len(hit) or not spans:
+        return []
+    doc = w.doc[at]
+    rows = np.unique(doc[hit])
+    # only the documents with such an element, one after the other
+    edge = np.searchsorted(doc, np.stack([rows, rows + 1]))
+    pick = np.concatenate([np.arange(a, z) for a, z in edge.T])
+    h, at, doc = h[pick], at[pick], doc[pick]
+    shared = np.zeros(len(h) + 1, np.int64)
+    shared[np.searchsorted(pick, hit) + 1] = 1
+    shared = np.cumsum(shared)
+    lanes = Lanes(h, max(s for s, _, _ in spans))
+    ends = np.searchsorted(doc, rows, "right")
+    starts = np.searchsorted(doc, rows)
     best: dict[tuple[int, int], tuple[float, int]] = {}
-    sizes: dict[tuple[int, int], set] = {}
-    start_of_doc = np.searchsorted(at, w.first)  # element rows of each document
-    of_doc = np.diff(start_of_doc)
-    for (d, i), ps in got.items():
-        n, m = len(items.bags[i]), min(int(items.size[i]) - words + 1, int(of_doc[d]))
-        if len(ps) >= least * (n + m) / (1 + least) - 1e-9:
-            sizes.setdefault((d, int(items.size[i])), set()).update(ps)
-    for (d, n), ps in sizes.items():
-        a, z = int(start_of_doc[d]), int(start_of_doc[d + 1])
-        span = min(n - words + 1, z - a)
-        starts = sorted({s for p in ps for s in range(max(a, p - span + 1), min(p, z - span) + 1)})
-        for s in starts:
-            bag = h[s : s + span]
-            f = fingerprint(bag)
-            near = {i for q, (first, bits) in enumerate(cut) for i in items.tables.get((n, q, int(f >> _U(first)) & ((1 << bits) - 1)), ())}
-            for i in near:
-                if (d, i) in got and bin(int(f ^ items.prints[i])).count("1") <= radius:
-                    j = jaccard(bag, items.bags[i])
-                    if j >= least and j > best.get((d, i), (0.0, 0))[0]:
-                        best[d, i] = (j, int(at[s]) - int(w.first[d]))
+
+    def verify(mine: np.ndarray, near: Near, start: np.ndarray, span: int) -> None:
+        for i, places in near.search(lanes.prints(start, span)):
+            for s in start[places].tolist():
+                key = (int(doc[s]), int(mine[i]))
+                j = jaccard(h[s : s + span], items.bags[key[1]])
+                if j >= least and j > best.get(key, (0.0, 0))[0]:
+                    best[key] = (j, int(at[s]) - int(w.first[key[0]]))
+
+    for span, mine, near in spans:
+        n = len(h) - span + 1
+        if n > 0:
+            start = np.flatnonzero((doc[:n] == doc[span - 1 :]) & (shared[span:] > shared[:n]))
+            verify(mine, near, start, span)
+        # a shorter text is one window, if it can reach the similarity at all
+        length = ends - starts
+        for m in np.unique(length[(length < span) & (length >= least * span - 1e-9)]).tolist():
+            verify(mine, near, starts[length == m], m)
     return [(d, i, p, j) for (d, i), (j, p) in best.items()]
 
 
@@ -185,7 +234,7 @@ def matches(docs: DataFrame, benchmark: DataFrame, words: int = WORDS, least: fl
         got = here.toArrow()
         ids = got.column("item_id").to_pylist()
         texts = pa.concat_arrays(got.column("text").chunks) if got.num_rows else pa.array([], pa.string())
-        sent = spark.sparkContext.broadcast(Items.build(ids, texts, words, radius))
+        sent = spark.sparkContext.broadcast(Items.build(ids, texts, words))
         found = docs.select("doc_id", "text").mapInArrow(_search(sent, words, least, radius), f"doc_id {kind}, item int, first_word int, similarity double")
         names = spark.createDataFrame([(i, x) for i, x in enumerate(sent.value.ids)], f"item int, item_id {item_kind.simpleString()}")
         parts.append(found.join(F.broadcast(names), "item").select("doc_id", "item_id", "first_word", "similarity"))
