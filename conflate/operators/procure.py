@@ -60,32 +60,38 @@ def octagon(extent: float) -> list[tuple[float, float]]:
     return [(a * extent, b * extent) for a, b in [(0.3, 0), (0.7, 0), (1, 0.3), (1, 0.7), (0.7, 1), (0.3, 1), (0, 0.7), (0, 0.3)]]
 
 
-def levels(base: float, floor: float) -> int:
-    """How often a base box may be halved: while half its side is at the floor or above."""
+def sides(base: float | tuple[float, float]) -> tuple[float, float]:
+    """Width and height of a box given by both or by one for both."""
+    return base if isinstance(base, tuple) else (base, base)
+
+
+def levels(base: float | tuple[float, float], floor: float) -> int:
+    """How often a base box may be halved: while half its shorter side is at the floor or above."""
     n = 0
-    while base / 2 ** (n + 1) >= floor:
+    while min(sides(base)) / 2 ** (n + 1) >= floor:
         n += 1
     return n
 
 
-def _cell(side: float) -> list[Column]:
-    return [F.floor(F.col("x") / side).cast("long").alias("ix"), F.floor(F.col("y") / side).cast("long").alias("iy")]
+def _cell(base: float | tuple[float, float], level: int) -> list[Column]:
+    w, h = (side / 2**level for side in sides(base))
+    return [F.floor(F.col("x") / w).cast("long").alias("ix"), F.floor(F.col("y") / h).cast("long").alias("iy")]
 
 
-def adaptive_boxes(df: DataFrame, extent: float, base: float = 800.0, cap: int = 60, floor: float = 25.0, mode: str = "pass") -> DataFrame:
+def adaptive_boxes(df: DataFrame, extent: float, base: float | tuple[float, float] = 800.0, cap: int = 60, floor: float = 25.0, mode: str = "pass") -> DataFrame:
     """(level, ix, iy, n, truncated) of the leaves of a recursive four-way split.
 
-    A box is split while its count reaches the cap and half its side the floor.  ``pass`` counts all levels at
+    ``base`` is one side or (width, height).  A box is split while its count reaches the cap and half its side the floor.  ``pass`` counts all levels at
     once: counts only fall with depth, so a box exists when its parent reached the cap.  ``levels`` asks level by
     level, one job each.  Boxes without any place are leaves too.
     """
     top = levels(base, floor)
     spark = df.sparkSession
-    n_base = int(-(-extent // base))
-    bases = spark.range(n_base).select(F.col("id").alias("ix")).crossJoin(spark.range(n_base).select(F.col("id").alias("iy")))
+    across, up = (int(-(-extent // side)) for side in sides(base))
+    bases = spark.range(across).select(F.col("id").alias("ix")).crossJoin(spark.range(up).select(F.col("id").alias("iy")))
     pts = df.select("x", "y")
     if mode == "pass":
-        cells = F.array(*[F.struct(F.lit(k).alias("level"), *_cell(base / 2**k)) for k in range(top + 1)])
+        cells = F.array(*[F.struct(F.lit(k).alias("level"), *_cell(base, k)) for k in range(top + 1)])
         counts = pts.select(F.explode(cells).alias("b")).select("b.*").groupBy("level", "ix", "iy").agg(F.count("*").alias("n"))
         full = counts.where((F.col("n") >= cap) & (F.col("level") < top))
         quarter = [F.struct((F.col("ix") * 2 + i).alias("ix"), (F.col("iy") * 2 + j).alias("iy")) for i in (0, 1) for j in (0, 1)]
@@ -95,7 +101,7 @@ def adaptive_boxes(df: DataFrame, extent: float, base: float = 800.0, cap: int =
     else:
         open_, parts = bases, []
         for k in range(top + 1):
-            got = open_.join(pts.select(*_cell(base / 2**k)).groupBy("ix", "iy").agg(F.count("*").alias("n")), ["ix", "iy"], "left").select(F.lit(k).alias("level"), "ix", "iy", F.coalesce("n", F.lit(0)).alias("n"))
+            got = open_.join(pts.select(*_cell(base, k)).groupBy("ix", "iy").agg(F.count("*").alias("n")), ["ix", "iy"], "left").select(F.lit(k).alias("level"), "ix", "iy", F.coalesce("n", F.lit(0)).alias("n"))
             got = materialise(got, "boxes")
             parts.append(got)
             open_ = got.where(F.col("n") >= cap).select(F.explode(F.array(*[F.struct((F.col("ix") * 2 + i).alias("ix"), (F.col("iy") * 2 + j).alias("iy")) for i in (0, 1) for j in (0, 1)])).alias("q")).select("q.*")
@@ -109,17 +115,18 @@ def fixed_boxes(df: DataFrame, extent: float, side: float, cap: int = 60) -> Dat
     return adaptive_boxes(df, extent, side, cap, side)
 
 
-def capped_query(df: DataFrame, boxes: DataFrame, base: float, cap: int = 60, page: int = 20) -> DataFrame:
+def capped_query(df: DataFrame, boxes: DataFrame, base: float | tuple[float, float], cap: int = 60, page: int = 20) -> DataFrame:
     """What the boxes return: the first ``cap`` places by uid of each, with page numbers."""
     parts = [r[0] for r in boxes.select("level").distinct().collect()]  # a handful of levels
-    hit = reduce(DataFrame.unionByName, [df.select("uid", F.lit(k).alias("level"), *_cell(base / 2**k)).join(boxes.where(F.col("level") == k).select("level", "ix", "iy"), ["level", "ix", "iy"], "left_semi") for k in sorted(parts)])
+    hit = reduce(DataFrame.unionByName, [df.select("uid", F.lit(k).alias("level"), *_cell(base, k)).join(boxes.where(F.col("level") == k).select("level", "ix", "iy"), ["level", "ix", "iy"], "left_semi") for k in sorted(parts)])
     w = Window.partitionBy("level", "ix", "iy").orderBy("uid")
     return hit.withColumn("k", F.row_number().over(w)).where(F.col("k") <= cap).select("uid", "level", "ix", "iy", F.ceil(F.col("k") / page).cast("int").alias("page_no"))
 
 
-def cost(boxes: DataFrame, extent: float, base: float, cap: int, page: int, n_total: DataFrame, adaptive: bool) -> DataFrame:
+def cost(boxes: DataFrame, extent: float, base: float | tuple[float, float], cap: int, page: int, n_total: DataFrame, adaptive: bool) -> DataFrame:
     """(calls, pages, leaves, at_cap, kept, lost) of a strategy: calls = bases + 4 x splits."""
-    n_base = int(-(-extent // base)) ** 2
+    across, up = (int(-(-extent // side)) for side in sides(base))
+    n_base = across * up
     kept = F.sum(F.least(F.col("n"), F.lit(cap)))
     pages = F.greatest(F.lit(1), F.ceil(F.least(F.col("n"), F.lit(cap)) / page))
     one = boxes.agg(F.count("*").alias("leaves"), F.count_if(F.col("truncated")).alias("at_cap"), kept.alias("kept"), F.sum(pages).cast("long").alias("leaf_pages"))

@@ -14,7 +14,7 @@ GEOMETRIES = ("Point", "MultiPoint", "LineString", "MultiLineString", "Polygon",
 
 #: Each source's own field names, by the common name; a list field of the sources in ``JOINED`` is one text.
 OWN_FIELDS = {
-    "authority_map": {"uid": "OBJECT_ID", "name": "NAME", "address": "ADDRESS_TEXT", "place_type": "LAND_USE", "tags": "REMARKS", "lat": "Y", "lon": "X", "extraction_date": "FETCHED"},
+    "authority_map": {"uid": "OBJECT_ID", "name": "NAME", "address": "ADDRESS_TEXT", "place_type": "LAND_USE", "tags": "REMARKS", "lat": "LAT_WGS84", "lon": "LON_WGS84", "extraction_date": "FETCHED"},
     "authority_registry": {"uid": "reg_no", "name": "entity_name", "address": "reg_street_address", "place_type": "activity", "tags": "notes", "lat": "latitude", "lon": "longitude", "extraction_date": "as_of"},
     "social_places": {"uid": "place_id", "name": "title", "address": "vicinity", "place_type": "categories", "tags": "labels", "lat": "geo_lat", "lon": "geo_lng", "extraction_date": "crawled_on"},
     "commercial_map": {"uid": "poi_ref", "name": "displayName", "address": "addressLine", "place_type": "classification", "tags": "keywords", "lat": "position_lat", "lon": "position_lon", "extraction_date": "retrieved"},
@@ -86,3 +86,32 @@ def from_geojson(df: DataFrame, column: str = "feature") -> DataFrame:
     schema = "type string, geometry struct<type:string,coordinates:array<double>>, properties struct<uid:string,source:string,name:string,place_types:array<string>,tags:array<string>,extraction_date:date,requires_verification:boolean,address:string>"
     f = df.select(F.from_json(column, schema).alias("f"))
     return f.select("f.properties.*", F.col("f.geometry.coordinates")[1].alias("lat"), F.col("f.geometry.coordinates")[0].alias("lon"))
+
+
+#: Nesting of a geometry's coordinates: 0 a position, 1 a list of them, 2 a list of lists, 3 one more.
+DEPTH = {"Point": 0, "MultiPoint": 1, "LineString": 1, "MultiLineString": 2, "Polygon": 2, "MultiPolygon": 3}
+SHAPE = "array<array<array<struct<lat:double,lon:double>>>>"
+
+
+def shape_json(kind: str, shape: Column) -> Column:
+    """Geometry of any of the six kinds from polygons of rings of points (lines are rings of their own polygon's
+    place, holes are further rings)."""
+    pair = lambda p: F.array(p["lon"], p["lat"])
+    full = F.transform(shape, lambda polygon: F.transform(polygon, lambda ring: F.transform(ring, pair)))
+    nested = {0: full[0][0][0], 1: full[0][0], 2: full[0], 3: full}[DEPTH[kind]]
+    return F.to_json(F.struct(F.lit(kind).alias("type"), nested.alias("coordinates")))
+
+
+def read_shape(geometry: Column) -> Column:
+    """struct<type, shape> of a GeoJSON geometry of any of the six kinds, the reverse of ``shape_json``; a broken or
+    unknown one gives a null shape."""
+    head = F.from_json(geometry, "type string, coordinates string")
+    position = "array<double>"
+    out = F.lit(None).cast(SHAPE)
+    point = lambda c: F.struct(c[1].alias("lat"), c[0].alias("lon"))
+    ring = lambda r: F.transform(r, point)
+    for kind, depth in DEPTH.items():
+        read = F.from_json(head["coordinates"], "array<" * depth + position + ">" * depth)
+        shape = {0: lambda c: F.array(F.array(F.array(point(c)))), 1: lambda c: F.array(F.array(ring(c))), 2: lambda c: F.array(F.transform(c, ring)), 3: lambda c: F.transform(c, lambda p: F.transform(p, ring))}[depth](read)
+        out = F.when((head["type"] == kind) & read.isNotNull(), shape).otherwise(out)
+    return F.struct(head["type"].alias("type"), out.alias("shape"))

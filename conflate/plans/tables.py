@@ -8,6 +8,7 @@ machine) a local folder is used instead.
 from __future__ import annotations
 
 import atexit
+import re
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -22,8 +23,10 @@ _written: dict[str, SparkSession] = {}
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder every executor sees."""
+    """The folder every executor sees; without the setting only a master in this very process will do."""
     named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+        raise RuntimeError("spark.checkpoint.dir is not set: intermediate tables need a folder that all executors share")
     return (named or LOCAL_FALLBACK).rstrip("/")
 
 
@@ -31,7 +34,8 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
     """Write ``df`` once to the shared folder and return a plan that reads it back."""
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/conflate-{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    # zstd keeps its buffers on the heap; those of the default stand outside it until a collection
+    df.write.option("compression", "zstd").parquet(path)
     _written[path] = spark
     back = spark.read.schema(df.schema).parquet(path)
     back._conflate_path = path
