@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -635,7 +636,9 @@ def table_accuracy(spark, sf_dir):
         rows = materialise(labelled(spark, sf_dir, method), "labelled")
         top = wsa.best(wsa.grid(rows.where("train"))).collect()[0]
         parts = [(name, "wsa", wsa.decide(rows.where("not train"), top["v"], top["alpha"], top["beta"]))]
-        parts += [(m, x, learned(rows, x, LEARNED[m][1])) for m in LEARNED if LEARNED[m][0] == method for x in ("gb", "bag", "svm")]
+        todo = [(m, x) for m in LEARNED if LEARNED[m][0] == method for x in ("gb", "bag", "svm")]
+        with ThreadPoolExecutor(3) as pool:
+            parts += [(m, x, pred) for (m, x), pred in zip(todo, pool.map(lambda t, rows=rows: learned(rows, t[1], LEARNED[t[0]][1]), todo))]
         for m, x, pred in parts:
             one = metrics.accuracy(pred).select(F.lit(m).alias("method"), F.lit(x).alias("decider"), "balanced", "overall", "tp", "tn", "fp", "fn")
             out = one if out is None else out.unionByName(one)
