@@ -36,7 +36,7 @@ KINDS = ("email", "ip", "card", "phone")
 REACH = 8
 DISCLOSES = 0.8
 STEM = 4
-#: Terms counted in one pass over the documents; more terms make more passes.
+#: Context terms that are sent to every task; the documents of more are counted by a join.
 TERMS_AT_ONCE = 300_000
 
 _DOMAIN = re.compile(r"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
@@ -96,6 +96,22 @@ def entity(text: str, kind: int, start: int, end: int) -> str:
     return f"{KINDS[kind]}:{value if kind < 2 else ''.join(c for c in value if c.isdigit())}"
 
 
+class Inside:
+    """Tells whether a stretch overlaps any of some spans, by one bisection: of the spans that begin before its end,
+    the one that reaches furthest decides."""
+
+    def __init__(self, spans: list[tuple[int, int]]):
+        spans = sorted(spans)
+        self.starts, self.reach, far = [s for s, _ in spans], [], 0
+        for _, z in spans:
+            far = max(far, z)
+            self.reach.append(far)
+
+    def __call__(self, start: int, end: int) -> bool:
+        k = bisect_left(self.starts, end)
+        return k > 0 and self.reach[k - 1] > start
+
+
 def _context(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """(key, entity, term) once for each document: '' stands for the entity itself; 'abcd*' for a stem."""
     for b in batches:
@@ -104,7 +120,7 @@ def _context(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             spans = base_spans(text or "")
             if not spans:
                 continue
-            inside = [(s, z) for s, _, z in spans]
+            inside = Inside([(s, z) for s, _, z in spans])
             words = list(_WORD.finditer(text))
             starts, ends = [m.start() for m in words], [m.end() for m in words]
             seen = set()
@@ -114,7 +130,7 @@ def _context(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 # REACH words to either side, however far away
                 before, after = bisect_right(ends, s), bisect_left(starts, z)
                 for m in words[max(0, before - REACH) : before] + words[after : after + REACH]:
-                    if not any(a < m.end() and m.start() < q for a, q in inside):
+                    if not inside(m.start(), m.end()):
                         t = m.group().lower()
                         seen.add((e, t))
                         if len(t) > STEM:
@@ -133,8 +149,11 @@ def _document_counts(sent):
         for b in batches:
             for text in b.column(0).to_pylist():
                 words = set(_WORD.findall((text or "").lower()))
-                n.update(words & wanted)
-                n.update({w[:STEM] + "*" for w in words if len(w) > STEM} & wanted)
+                words |= {w[:STEM] + "*" for w in words if len(w) > STEM}
+                n.update(words if wanted is None else words & wanted)
+            if wanted is None:  # any number of terms: what one batch counted goes out, and combines before the shuffle
+                yield pa.RecordBatch.from_arrays([pa.array(list(n), pa.string()), pa.array(list(n.values()), pa.int64())], ["term", "df"])
+                n.clear()
         yield pa.RecordBatch.from_arrays([pa.array(list(n), pa.string()), pa.array(list(n.values()), pa.int64())], ["term", "df"])
 
     return run
@@ -148,14 +167,11 @@ def disclosing(docs: DataFrame, context: DataFrame, discloses: float = DISCLOSES
     pairs = materialise(joint.where(F.col("term") != "").join(of_entity, "entity"), "pairs")
     terms = materialise(pairs.select("term").distinct(), "terms")
     n_terms, n_docs = terms.count(), docs.count()
-    passes = max(1, -(-n_terms // TERMS_AT_ONCE))
-    df = None
-    for i in range(passes):
-        mine = terms if passes == 1 else terms.where(F.pmod(F.xxhash64("term"), F.lit(passes)) == i)
-        sent = spark.sparkContext.broadcast(frozenset(mine.toArrow().column(0).to_pylist()))
-        got = docs.select("text").mapInArrow(_document_counts(sent), "term string, df long")
-        df = got if df is None else df.unionByName(got)
-    df = df.groupBy("term").agg(F.sum("df").alias("df"))
+    # one scan either way: few terms go to every task, many meet the counts of all words in a join
+    few = n_terms <= TERMS_AT_ONCE
+    sent = spark.sparkContext.broadcast(frozenset(terms.toArrow().column(0).to_pylist()) if few else None)
+    df = docs.select("text").mapInArrow(_document_counts(sent), "term string, df long").groupBy("term").agg(F.sum("df").alias("df"))
+    df = df if few else df.join(terms, "term", "left_semi")
     n = F.lit(float(max(n_docs, 1)))
     scored = pairs.join(df, "term").select("entity", "term", F.log(n * F.col("n") / (F.col("ne") * F.col("df"))).alias("pmi"), F.log(n / F.col("ne")).alias("ic"))
     return scored.where((F.col("ic") > 0) & (F.col("pmi") >= F.lit(discloses) * F.col("ic")))
@@ -173,8 +189,8 @@ def _find(texts: bool):
                 every = [(s, k, z, "") for s, k, z in base]
                 if terms:
                     keep = {t["term"]: t["coarse"] for t in terms}
-                    inside = [(s, z) for s, _, z in base]
-                    every += [(m.start(), len(KINDS), m.end(), keep[m.group().lower()]) for m in _WORD.finditer(text) if m.group().lower() in keep and not any(a < m.end() and m.start() < q for a, q in inside)]
+                    inside = Inside([(s, z) for s, _, z in base])
+                    every += [(m.start(), len(KINDS), m.end(), keep[m.group().lower()]) for m in _WORD.finditer(text) if m.group().lower() in keep and not inside(m.start(), m.end())]
                     every.sort()
                 for c, x in zip(cols, [*(counts[k] for k in range(4)), hashlib.sha256(named.encode()).hexdigest(), ",".join(f"{(*KINDS, 'term')[k]}:{s}:{z}" for s, k, z, _ in every), _rewrite(text, every) if texts else None]):
                     c.append(x)

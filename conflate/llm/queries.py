@@ -24,7 +24,8 @@ def op2_probability_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_disclosure_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pii.find(table(spark, sf_dir, "documents"))
+    found = pii.find(table(spark, sf_dir, "documents"), texts=True)
+    return found.withColumn("clean_sha256", F.sha2(F.encode("clean", "UTF-8"), 256)).drop("clean")
 
 
 def op4_weak_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
