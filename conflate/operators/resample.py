@@ -6,6 +6,10 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
+#: Labelled pairs at most; a person's or a fixture's labels of one region.
+LABELLED = 20_000_000
+
+
 def hash32(c: Column) -> Column:
     """First 8 hex digits of the md5, as a number; the same in any engine."""
     return F.conv(F.substring(F.md5(c), 1, 8), 16, 10).cast("long")
@@ -49,9 +53,12 @@ def balanced_sets(train: DataFrame, n_bags: int = 5, size: int | str = "sqrt") -
     """(bag_id, train columns): in each bag ``size`` drawn rows of the minority and ``size`` of the majority.
 
     ``size``: a number, ``minority``, ``majority``, or ``sqrt`` for the geometric mean of the class sizes.
-    Training sets of labelled pairs are small; only their two class counts come to the driver.
+    Training sets of labelled pairs are small: beyond ``LABELLED`` rows, where windows of one class would no longer
+    fit a task, this raises.  Only the two class counts come to the driver.
     """
     counts = {r["label"]: r["count"] for r in train.groupBy("label").count().collect()}
+    if sum(counts.values()) > LABELLED:
+        raise ValueError(f"{sum(counts.values())} labelled pairs; at most {LABELLED} are resampled")
     if len(counts) < 2:
         raise ValueError("one class is absent from the training part")
     small, big = sorted(counts, key=lambda k: (counts[k], -k))
