@@ -12,8 +12,8 @@ its steps, the set of the other branches with one bound; the next sample continu
 Its inclusion score is 1 - exp(-exp(log p - t)), t being the (k + 1)-th perturbed score: the chance to have been
 among the k given that threshold (1 where fewer than k + 1 segmentations exist).
 
-No piece holds a space after another character, so the lattice falls apart at spaces; the distinct units of some
-megabytes of text share one lattice.  Randomness is a hash of the row key: a row gives the same samples in
+No piece holds a space after another character, so the lattice falls apart at spaces; the distinct units of
+192 KB of text share one lattice.  Randomness is a hash of the row key: a row gives the same samples in
 any partition, and repeated keys give repeated samples.  Defined results: a null or empty text has one segmentation
 without pieces; texts are never cut; decoding gives back the very text, literal block marks and all.
 """
