@@ -17,3 +17,14 @@ def test_many_groups_in_one_bucket(spark, docs_of):
     where = {keys[k]: b for k, b in bands.items()}
     want = {(2 * i, 2 * i + 1) for i in range(60) if where[2 * i] == where[2 * i + 1]}
     assert len(want) > 40 and want <= got
+
+
+def test_copies_of_one_text_are_not_paired_with_each_other(spark, docs_of):
+    base = [f"w{i}" for i in range(400)]
+    rows = [(i, " ".join(base[: 9 * i] + [f"x{i}"] + base[9 * i :])) for i in range(30)]
+    rows += [(100 + i, " ".join(f"o{i}y{j}" for j in range(50))) for i in range(5)]
+    _, classes, found = probminhash.links(docs_of(rows))
+    # a chain or star of 30 texts has 29 links; all their pairs are 435
+    assert classes.count() == 35 and 29 <= found.count() <= 100
+    got = {r.doc_id: (r.class_id, r.class_size) for r in probminhash.classes_of(docs_of(rows)).collect()}
+    assert got == {i: (0, 30) if i < 30 else (i, 1) for i, _ in rows}
