@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from conflate.functions.similarity import cosine
+from conflate.operators import skipgram
 from conflate.plans.tables import broadcast_if_small
 
 TAU = 0.95
@@ -45,13 +46,7 @@ def table_vectors(df: DataFrame) -> DataFrame:
 
 def skipgram_vectors(docs: DataFrame, text: str = "text", dim: int = 16, min_count: int = 5, seed: int = 1) -> DataFrame:
     """(term, vec) of a skip-gram model trained on the corpus, with each word's 4-letter openings as extra tokens."""
-    from pyspark.ml.feature import Word2Vec
-    from pyspark.ml.functions import vector_to_array
-
-    words = F.filter(F.split(F.lower(text), r"[^\p{L}]+"), lambda w: w != "")
-    tokens = docs.select(F.flatten(F.transform(words, lambda w: F.when(F.char_length(w) > 4, F.array(w, F.concat(F.substring(w, 1, 4), F.lit("*")))).otherwise(F.array(w)))).alias("tokens"))
-    model = Word2Vec(vectorSize=dim, minCount=min_count, maxIter=1, seed=seed, numPartitions=4, inputCol="tokens", outputCol="v").fit(tokens)
-    return model.getVectors().select(F.col("word").alias("term"), vector_to_array("vector").alias("vec"))
+    return skipgram.vectors(docs, text, dim, min_count, seed)
 
 
 def map_labels(labels: DataFrame, taxonomy: DataFrame, vectors: DataFrame, tau: float = TAU) -> DataFrame:
